@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from . import byte_bpe, exact_dedup, html_text, simhash, substring_dedup, suffix_dedup, token_counts
+from . import byte_bpe, exact_dedup, html_text, quality, simhash, substring_dedup, suffix_dedup, token_counts
 
-MODULES = (substring_dedup, exact_dedup, suffix_dedup, token_counts, html_text, byte_bpe, simhash)
+MODULES = (substring_dedup, exact_dedup, quality, suffix_dedup, token_counts, html_text, byte_bpe, simhash)
 QUERIES = {k: v for m in MODULES for k, v in m.QUERIES.items()}
 ORACLES = {k: v for m in MODULES for k, v in m.ORACLES.items()}
