@@ -92,3 +92,11 @@ def small_batches(batches: Iterable[pa.RecordBatch], column: str, limit: int = 8
                 start, held = i, 0
             held += n
         yield batch.slice(start)
+
+
+def release(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of finished queries now rather than when the driver next collects garbage."""
+    import gc
+
+    gc.collect()
+    spark._jvm.System.gc()
