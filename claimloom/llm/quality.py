@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from .base import as_bytes, safe_slices, small_batches, table
 
-SAMPLE = 8000
+SAMPLE = 6000
 TERMS = 4000
 MEMO_ENTRIES = 500_000
 PREFIXES = (4, 5, 6)
@@ -103,15 +103,19 @@ def quality_votes(s: dict[str, float]) -> list[int]:
     return [*(1 if b else -1 for b in bad), 0 if plain else 1 if any(bad) else -1]
 
 
-def word_features(word: bytes) -> tuple[bytes, ...]:
+def hashed(feature: bytes | str) -> int:
+    return xxhash.xxh64_intdigest(feature) >> 1
+
+
+def word_features(word: bytes) -> list[int]:
+    """Hashes of a word (even) and of its prefixes (odd)."""
     w = word.strip(_STRIP)
-    if not w:
-        return ()
-    return (b"w" + w, *(b"p" + w[:k] for k in PREFIXES if len(w) >= k))
+    return [hashed(w) & ~1, *(hashed(w[:k]) | 1 for k in PREFIXES if len(w) >= k)] if w else []
 
 
-def hashed(feature: bytes | str) -> int:
-    return xxhash.xxh64_intdigest(feature) >> 1
+def all_features(words: set[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct feature hashes of a text's distinct words, and how many words have each."""
+    return np.unique(np.array([f for w in words for f in word_features(w)], np.int64), return_counts=True)
 
 
 def expectation_maximisation(votes: np.ndarray, rounds: int = 60) -> tuple[np.ndarray, np.ndarray, float]:
@@ -179,110 +183,105 @@ class Scorer:
             if x is None:
                 if len(memo) >= MEMO_ENTRIES:
                     memo.clear()
-                x = memo[w] = sum(self.toxic.get(hashed(f), 0.0) for f in word_features(w))
+                x = memo[w] = sum(self.toxic.get(f, 0.0) for f in word_features(w))
             if x:
                 toxic += x
         return 1 / (1 + math.exp(-max(-40, min(40, low)))), 1 / (1 + math.exp(-max(-40, min(40, toxic))))
 
 
-def _sampled(docs: DataFrame, labels: DataFrame, text: str, key: str, size: int) -> list[dict]:
+def _sampled(docs: DataFrame, labels: DataFrame, text: str, key: str, size: int) -> list[tuple]:
+    """(quality, toxic, statistics, feature hashes, their counts) of the sampled documents."""
     ids = labels.where(F.col(key).isNotNull()).groupBy(key).agg(F.max("quality").alias("_q"), F.max("toxic").alias("_t"))
     few = ids.orderBy(F.xxhash64(key), key).limit(size)
     source = docs.select(key, F.col(text).alias("_text")).join(F.broadcast(few), key).select("_q", "_t", "_text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small_batches(batches, "_text"):
-            stats, words = [], []
+            stats, packed = [], []
             for t in as_bytes(batch.column(2)):
                 s, distinct = statistics(t)
                 stats.append(list(s.values()))
-                words.append(sorted(distinct))
+                f, n = all_features(distinct)
+                packed.append(f.tobytes() + n.astype(np.uint16).tobytes())
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0).cast(pa.int64()), batch.column(1).cast(pa.int64()), pa.array(stats, pa.list_(pa.float64())), pa.array(words, pa.list_(pa.binary()))], names=["_q", "_t", "stats", "words"]
+                [batch.column(0).cast(pa.int64()), batch.column(1).cast(pa.int64()), pa.array(stats, pa.list_(pa.float64())), pa.array(packed, pa.binary())], names=["_q", "_t", "stats", "packed"]
             )
 
-    rows = source.mapInArrow(run, "_q bigint, _t bigint, stats array<double>, words array<binary>").toLocalIterator()
-    return [{"q": r[0], "t": r[1], "stats": r[2], "words": [bytes(w) for w in r[3]]} for r in rows][: 2 * size]
-
-
-def _mined(docs: list[set[bytes]], toxic: list[int | None]) -> set[bytes]:
-    """Features of documents labelled toxic that hardly any document labelled clean has."""
-    seen = [(f, t) for f, t in zip(docs, toxic) if t is not None]
-    return set(_scored([f for f, _ in seen], np.array([float(t) for _, t in seen])))
+    out = []
+    for r in source.mapInArrow(run, "_q bigint, _t bigint, stats array<double>, packed binary").toLocalIterator():
+        raw = bytes(r[3])
+        n = len(raw) // 10
+        out.append((r[0], r[1], r[2], np.frombuffer(raw, np.int64, n), np.frombuffer(raw, np.uint16, n, 8 * n)))
+        if len(out) == 2 * size:  # only where doc_id repeats
+            break
+    return out
+
+
+def _one_of_each(feats: list[np.ndarray]) -> list[int]:
+    """Documents of which no other has the same least rare features: copies and near copies count once."""
+    every, times = np.unique(np.concatenate(feats), return_counts=True) if feats else (np.empty(0, np.int64), np.empty(0))
+    common = every[times > max(2, len(feats) // 20)]
+    met, out = set(), []
+    for i, f in enumerate(feats):
+        rare = f[~np.isin(f, common, assume_unique=True)][:2]
+        sketch = tuple(rare.tolist()) if len(rare) else f.tobytes()
+        if sketch not in met:
+            met.add(sketch)
+            out.append(i)
+    return out
+
+
+def telling(feats: list[np.ndarray], p: np.ndarray, most: int = TERMS, doubt: float = 0.01, purity: float = 0.95) -> np.ndarray:
+    """Features that belong to class 1 more often than chance explains over all features tried, sorted."""
+    pick = _one_of_each(feats)
+    if not pick:
+        return np.empty(0, np.int64)
+    every, place = np.unique(np.concatenate([feats[i] for i in pick]), return_inverse=True)
+    times = np.bincount(place, minlength=len(every))
+    bad = np.bincount(place, weights=np.repeat(p[pick], [len(feats[i]) for i in pick]), minlength=len(every))
+    share = float(np.clip(p.mean(), 1e-3, 0.5))
+    least = min(math.log(max(1, len(every)) / doubt) / math.log(1 / share), max(2.5, 0.2 * float(p[pick].sum())))
+    found = np.flatnonzero((bad >= least) & (bad > purity * times))
+    return np.sort(every[found[np.argsort(-bad[found], kind="stable")[:most]]])
 
 
 def fit(docs: DataFrame, labels: DataFrame, text: str = "text", key: str = "doc_id", size: int = SAMPLE) -> Scorer:
     names = list(statistics(b"")[0])
     rows = _sampled(docs, labels, text, key, size)
-    stats = [dict(zip(names, r["stats"])) for r in rows]
-    feats = [{f for w in r["words"] for f in word_features(w)} for r in rows]
-    human_low = [-1 if r["q"] is None else int(r["q"] == 0) for r in rows]
-    human_toxic = [-1 if r["t"] is None else int(r["t"] > 0) for r in rows]
+    n_rows = len(rows)
     if not rows:
-        texts = [b"plain words of a text that says what it means to say"] * 4 + [b"idiot moron scum"] * 2
-        stats, feats = [statistics(t)[0] for t in texts], [{f for w in t.split() for f in word_features(w)} for t in texts]
-        human_low, human_toxic = [-1] * 6, [-1] * 6
+        rows = [(None, None, list(s.values()), *all_features(d)) for t in [b"plain words of a text that says what it means to say"] * 4 + [b"idiot moron scum"] * 2 for s, d in [statistics(t)]]
+    stats, feats = [dict(zip(names, r[2])) for r in rows], [r[3] for r in rows]
+    human_low = [-1 if r[0] is None else int(r[0] == 0) for r in rows]
+    human_toxic = [-1 if r[1] is None else int(r[1] > 0) for r in rows]
 
     low_votes = np.array([[*quality_votes(s), h] for s, h in zip(stats, human_low)])
     p_low, table_low, _ = expectation_maximisation(low_votes)
-    names_low = sorted({b for s in stats for b in bands(s)})
-    at = {f: i for i, f in enumerate(names_low)}
+    at = {f: i for i, f in enumerate(sorted({b for s in stats for b in bands(s)}))}
     dense = [np.array([at[b] for b in bands(s)], np.int64) for s in stats]
     w_low, b_low = sparse_logistic(dense, [np.ones(len(d)) for d in dense], p_low, len(at))
 
-    half = [i % 2 == 0 for i in range(len(feats))]
-    shown = [None if h < 0 or not a else h for h, a in zip(human_toxic, half)]
-    words_only = [{f for f in fs if f[:1] == b"w"} for fs in feats]
-    stems_only = [{f for f in fs if f[:1] == b"p"} for fs in feats]
-    mined_words, mined_stems = _mined(words_only, shown), _mined(stems_only, shown)
-    insults = {b"w" + w for w in INSULTS}
-    toxic_votes = np.array(
-        [
-            [1 if fs & insults else -1, 1 if fs & mined_words else -1, 1 if fs & mined_stems else -1, 0 if not fs & (mined_words | mined_stems | insults) else -1, h]
-            for fs, h in zip(feats, human_toxic)
-        ]
-    )
-    p_toxic, table_toxic, _ = expectation_maximisation(toxic_votes)
-    chosen = sorted(_scored(feats, p_toxic))
-    place = {f: i for i, f in enumerate(chosen)}
+    shown = [i for i, h in enumerate(human_toxic) if h >= 0 and i % 2 == 0]
+    truth = np.array([float(human_toxic[i]) for i in shown])
+    words, stems = (telling([feats[i][feats[i] % 2 == odd] for i in shown], truth) for odd in (0, 1))
+    insults = np.sort(np.array([hashed(w) & ~1 for w in INSULTS], np.int64))
+    has = [[bool(np.isin(f, terms, assume_unique=True).any()) for terms in (insults, words, stems)] for f in feats]
+    p_toxic, table_toxic, _ = expectation_maximisation(np.array([[*(1 if x else -1 for x in h), -1 if any(h) else 0, y] for h, y in zip(has, human_toxic)]))
+    chosen = telling(feats, p_toxic)
     columns, values = [], []
-    for r, fs in zip(rows or [{"words": t.split()} for t in texts], feats):
-        c: dict[int, float] = {}
-        for w in r["words"]:
-            for f in word_features(w):
-                if f in place:
-                    c[place[f]] = c.get(place[f], 0.0) + 1.0
-        columns.append(np.array(list(c), np.int64))
-        values.append(np.array(list(c.values())))
-    w_toxic, b_toxic = sparse_logistic(columns, values, p_toxic, len(place), l1=1e-4)
+    for f, r in zip(feats, rows):
+        here = np.isin(f, chosen, assume_unique=True)
+        columns.append(np.searchsorted(chosen, f[here]))
+        values.append(r[4][here].astype(float))
+    w_toxic, b_toxic = sparse_logistic(columns, values, p_toxic, len(chosen), l1=1e-4)
     return Scorer(
         {hashed("s" + f): float(w_low[i]) for f, i in at.items() if w_low[i]},
-        {hashed(f): float(w_toxic[i]) for f, i in place.items() if w_toxic[i]},
+        {int(f): float(w) for f, w in zip(chosen, w_toxic) if w},
         (float(b_low), float(b_toxic)),
-        {"quality": table_low.tolist(), "toxic": table_toxic.tolist(), "rows": len(rows)},
+        {"quality": table_low.tolist(), "toxic": table_toxic.tolist(), "rows": n_rows},
     )
 
 
-def _scored(feats: list[set[bytes]], p: np.ndarray, most: int = TERMS, doubt: float = 0.01, purity: float = 0.95) -> list[bytes]:
-    """Features that belong to class 1 more often than chance explains over all features tried; copies of one text count once."""
-    bad: dict[bytes, float] = {}
-    every: dict[bytes, int] = {}
-    met: set[tuple] = set()
-    for fs, x in zip(feats, p.tolist()):
-        long = sorted((hashed(f) for f in fs if len(f) > 8), key=lambda h: h)[:2]
-        sketch = tuple(long) or tuple(sorted(fs))
-        if sketch in met:
-            continue
-        met.add(sketch)
-        for f in fs:
-            bad[f] = bad.get(f, 0.0) + x
-            every[f] = every.get(f, 0) + 1
-    share = float(np.clip(p.mean() if len(p) else 0.1, 1e-3, 0.5))
-    least = min(math.log(max(1, len(every)) / doubt) / math.log(1 / share), max(2.5, 0.2 * float(p.sum())))
-    ranked = ((b, f) for f, b in bad.items() if b >= least and b > purity * every[f])
-    return [f for _, f in sorted(ranked, reverse=True)[:most]]
-
-
 def classify(docs: DataFrame, scorer: Scorer, text: str = "text") -> DataFrame:
     """docs with p_low, p_toxic and kept; columns of docs with those names are replaced."""
     sent = docs.sparkSession.sparkContext.broadcast(scorer)
