@@ -1,4 +1,488 @@
-"""Queries of the library by name, and their SQL twins."""
+"""The workloads as queries by name; their SQL twins are in oracles.py."""
 
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
+from pyspark.sql import functions as F
+
+from ..functions import text as T
+from ..operators import audit, compare, crawl, framing, metrics
+from ..sources import tables as S
+from ..streaming import stage_log
+from .oracles import ORACLES  # noqa: F401
+
+six = metrics.six
 QUERIES: dict = {}
-ORACLES: dict = {}
+
+
+def query(f):
+    QUERIES[f.__name__] = f
+    return f
+
+
+def _verdicts(s: SparkSession, d: str) -> DataFrame:
+    return S.claims(s, d).join(S.articles(s, d), "article_id")
+
+
+# Factuality
+
+
+@query
+def hop_factuality(s, d):
+    return metrics.macro(metrics.per_article(_verdicts(s, d), "hop"), "hop").drop("true_sd")
+
+
+@query
+def hop_factuality_micro(s, d):
+    return metrics.micro(_verdicts(s, d), "hop")
+
+
+@query
+def tier_factuality(s, d):
+    return metrics.macro(metrics.per_article(_verdicts(s, d), "tier"), "tier").drop("decided_articles")
+
+
+@query
+def persona_cells(s, d):
+    return metrics.macro(metrics.per_article(_verdicts(s, d), "topic", "model", "persona"), "topic", "model", "persona").drop("true_sd", "true_rate")
+
+
+@query
+def topic_model_table(s, d):
+    cells = persona_cells(s, d)
+    return cells.groupBy("topic", "model").agg(*(six(F.avg(c)).alias(c) for c in ("precision", "false_rate", "unv_rate")), six(F.max("precision") - F.min("precision")).alias("persona_gap"))
+
+
+@query
+def binary_scorer(s, d):
+    return metrics.macro(metrics.per_article(metrics.binary(_verdicts(s, d)), "hop"), "hop").select("hop", "articles", "true_rate", "false_rate")
+
+
+@query
+def silence_rule_off(s, d):
+    return metrics.macro(metrics.per_article(metrics.silence_as_refutation(_verdicts(s, d)), "hop"), "hop").select("hop", "precision", "false_rate")
+
+
+@query
+def depth_trend(s, d):
+    rates = metrics.per_article(_verdicts(s, d), "hop")
+    t = metrics.depth_trend(metrics.macro(rates, "hop"), "true_rate")
+    return t.select("first", "last", six("corr").alias("corr"))
+
+
+@query
+def stratified_sample(s, d):
+    return metrics.sample(S.articles(s, d).select("article_id", "hop"), "article_id", 50, "hop")
+
+
+@query
+def coverage_by_source(s, d):
+    docs, labels = S.load(s, d, "documents").select("doc_id", "lang"), S.load(s, d, "labels").select("doc_id")
+    return metrics.coverage(docs, labels, "doc_id", "lang")
+
+
+@query
+def ablation_cube(s, d):
+    v = S.claims(s, d).withColumns({"sg": F.col("l_linestatus"), "prompt": (F.col("l_suppkey") % 2).cast("int"), "reasoning": (F.col("l_partkey") % 2).cast("int")})
+    rates = metrics.per_article(v, "sg", "prompt", "reasoning")
+    h = F.md5(F.concat(F.lit("42:"), F.col("article_id").cast("string")))
+    cell = W.partitionBy("sg", "prompt", "reasoning").orderBy(h, "article_id")
+    chosen = rates.withColumn("r", F.row_number().over(cell)).where("r <= 500")
+    return chosen.cube("sg", "prompt", "reasoning").agg(
+        F.count(F.lit(1)).alias("n"), six(F.avg("precision")).alias("precision"), six(F.avg("true_rate")).alias("true_rate"), six(F.avg("false_rate")).alias("false_rate"), six(F.avg("unv_rate")).alias("unv_rate")
+    )
+
+
+# Crawl
+
+
+@query
+def bfs_rel_hops(s, d):
+    found = crawl.expand(s.createDataFrame([(0,)], "key bigint"), S.accepted_links(s, d))
+    return found.groupBy("hop").agg(F.count(F.lit(1)).alias("new_subjects"))
+
+
+@query
+def bfs_text_hops(s, d):
+    found = crawl.expand(s.createDataFrame([("and",)], "key string"), S.text_links(s, d), depth_cap=4)
+    return found.groupBy("hop").agg(F.count(F.lit(1)).alias("new_subjects"))
+
+
+@query
+def bfs_budget(s, d):
+    found = crawl.expand(s.createDataFrame([(0,)], "key bigint"), S.accepted_links(s, d), budget=200)
+    return found.groupBy("hop").agg(F.count(F.lit(1)).alias("committed"), F.max("key").alias("largest"))
+
+
+@query
+def bfs_topic(s, d):
+    part = S.load(s, d, "part").where("p_type = 'ECONOMY'").select("p_partkey", "p_brand")
+    e = S.accepted_links(s, d)
+    both = e.union(e.select("dst", "src")).distinct()
+    relevant = both.join(part.select(F.col("p_partkey").alias("dst")), "dst", "left_semi").select("src", "dst")
+    seeds = part.where("p_brand = 'Brand#2'").select(F.col("p_partkey").alias("key"))
+    return crawl.expand(seeds, relevant, depth_cap=2).groupBy("hop").agg(F.count(F.lit(1)).alias("new_subjects"))
+
+
+@query
+def coverage_rollup(s, d):
+    e = S.accepted_links(s, d)
+    found = crawl.expand(s.createDataFrame([(0,)], "key bigint"), e, depth_cap=3)
+    return crawl.coverage_states(found, e.select(F.col("src").alias("key")).distinct().join(found.where("hop < 3"), "key", "left_semi"))
+
+
+def _funnel_rows(s, d):
+    art = S.articles(s, d).select("article_id", "model", "hop")
+    line = S.load(s, d, "lineitem").select(F.col("l_orderkey").alias("article_id"), F.col("l_partkey").alias("key"))
+    part = S.load(s, d, "part").select(F.col("p_partkey").alias("key"), "p_size", "p_name")
+    return line.join(art, "article_id").join(part, "key")
+
+
+def _funnel(rows: DataFrame, by: str) -> DataFrame:
+    pre = rows.groupBy(by, "article_id", "key", "p_size", "p_name").agg(F.count(F.lit(1)).alias("mentions"))
+    key = pre.groupBy(by, "key", "p_size", "p_name").agg(F.sum("mentions").alias("mentions"), F.count(F.lit(1)).alias("articles"))
+    ok = F.col("p_size") > 10
+    name = F.when(ok, F.col("p_name"))
+    out = key.groupBy(by).agg(F.sum("mentions").alias("raw"), F.sum("articles").alias("pre_filter"), F.count(F.lit(1)).alias("after_canon"), F.sum(ok.cast("int")).alias("after_filter"), F.count_distinct(name).alias("after_sim"))
+    return out.withColumn("raw_to_queue", six(F.col("after_sim") / F.col("raw")))
+
+
+@query
+def funnel_by_model(s, d):
+    return _funnel(_funnel_rows(s, d), "model")
+
+
+@query
+def funnel_by_hop(s, d):
+    return _funnel(_funnel_rows(s, d), "hop")
+
+
+@query
+def survival_bands(s, d):
+    one = _funnel_rows(s, d).groupBy("hop", "article_id").agg((F.count_distinct(F.when(F.col("p_size") > 10, F.col("key"))) / F.count(F.lit(1))).alias("survival"))
+    return one.groupBy("hop").agg(F.count(F.lit(1)).alias("parents"), six(F.avg("survival")).alias("mean_survival"), six(F.stddev_samp("survival")).alias("sd_survival"))
+
+
+@query
+def reject_reasons_stage2(s, d):
+    words = S.load(s, d, "documents").select(F.explode(F.split("text", r"\n")).alias("phrase"))
+    why = words.select(F.coalesce(crawl.entity_filter(F.substring("phrase", 1, 60)), F.lit("accepted")).alias("reason"))
+    n = why.groupBy("reason").agg(F.count(F.lit(1)).alias("n"))
+    return n.join(F.broadcast(n.agg(F.sum("n").alias("t")))).select("reason", "n", six(F.col("n") / F.col("t")).alias("share"))
+
+
+@query
+def parse_modes(s, d):
+    e = S.load(s, d, "events").select("event_id", "props")
+    raw = F.when(F.col("event_id") % 7 == 1, F.concat(F.lit("answer: "), "props", F.lit(" end"))).when(F.col("event_id") % 7 == 2, F.expr("substring(props, 1, length(props) - 1)")).when(F.col("event_id") % 7 == 3, F.lit("none")).otherwise(F.col("props"))
+    return e.select(crawl.parse_mode(raw).alias("mode")).groupBy("mode").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query
+def insert_loss(s, d):
+    e = S.accepted_links(s, d)
+    known = crawl.expand(s.createDataFrame([(0,)], "key bigint"), e, depth_cap=2)
+    wave = known.where("hop = 2").select(F.col("key").alias("src"))
+    offers = wave.join(e, "src").join(known.select(F.col("key").alias("dst")), "dst", "left_anti")
+    one = offers.groupBy("dst").agg(F.count(F.lit(1)).alias("n"))
+    return one.agg(F.sum("n").alias("accepted"), F.count(F.lit(1)).alias("inserted"), six(1 - F.count(F.lit(1)) / F.sum("n")).alias("loss"))
+
+
+@query
+def alias_summary(s, d):
+    docs = S.load(s, d, "documents").select("doc_id", F.md5("text").alias("key"))
+    g = docs.groupBy("key").agg((F.count(F.lit(1)) - 1).alias("aliases")).where("aliases > 0")
+    return g.agg(F.count(F.lit(1)).alias("entities"), F.sum("aliases").alias("aliases"), six(F.avg("aliases")).alias("mean_aliases"))
+
+
+@query
+def alias_top30(s, d):
+    docs = S.load(s, d, "documents").select("doc_id", F.md5("text").alias("key"))
+    g = docs.groupBy("key").agg(F.min("doc_id").alias("canon"), (F.count(F.lit(1)) - 1).alias("aliases")).where("aliases > 0")
+    return g.orderBy(F.desc("aliases"), "canon").limit(30).select("canon", "aliases")
+
+
+@query
+def embed_pairs(s, d):
+    v = S.load(s, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vec"))
+    return crawl.cosine_pairs(v, 0.30).select("id_a", "id_b", F.round("cosine", 5).alias("cosine"))
+
+
+@query
+def embed_lsh_recall(s, d):
+    v = S.load(s, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vec"))
+    exact, near = crawl.cosine_pairs(v, 0.30), crawl.cosine_pairs_lsh(v, 0.30)
+    hit = exact.join(near.select("id_a", "id_b").distinct(), ["id_a", "id_b"], "left_semi").agg(F.count(F.lit(1)).alias("found"))
+    return exact.agg(F.count(F.lit(1)).alias("pairs")).join(hit).withColumn("recall", six(F.col("found") / F.col("pairs")))
+
+
+# Comparison
+
+
+def _members(s, d, n=600):
+    a, line = S.articles(s, d), S.load(s, d, "lineitem").select(F.col("l_orderkey").alias("article_id"), F.col("l_partkey").alias("key"))
+    first = line.join(a, "article_id").where("model < 3").groupBy("model", "key").agg(F.min("written").alias("t"))
+    return first.withColumn("r", F.row_number().over(W.partitionBy("model").orderBy("t", "key"))).where(F.col("r") <= n).select(F.col("model").cast("int").alias("model"), "key")
+
+
+@query
+def subject_overlap(s, d):
+    return compare.overlap(_members(s, d))
+
+
+@query
+def pairwise_jaccard(s, d):
+    return compare.pairwise(_members(s, d))
+
+
+@query
+def entity_jaccard(s, d):
+    a, line = S.articles(s, d).where("model < 3"), S.load(s, d, "lineitem").select(F.col("l_orderkey").alias("article_id"), F.col("l_partkey").alias("key"))
+    return compare.entity_jaccard(line.join(a, "article_id").select("topic", F.col("model").cast("int").alias("model"), "key"), "topic")
+
+
+@query
+def corpus_profile(s, d):
+    x = S.load(s, d, "documents").select("lang", F.size(T.tokens(F.col("text"))).alias("words"), F.size(F.split("text", "\n")).alias("lines"))
+    return x.groupBy("lang").agg(F.count(F.lit(1)).alias("articles"), six(F.avg("words")).alias("mean_words"), F.percentile("words", F.lit(0.5)).alias("median_words"), six(F.avg("lines")).alias("mean_lines"))
+
+
+@query
+def shared_vs_independent(s, d):
+    m = _members(s, d)
+    both = m.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c = 3").select("key", F.lit("shared").alias("condition"))
+    v = S.claims(s, d).withColumnRenamed("l_partkey", "key").join(S.articles(s, d).select("article_id", F.col("model").cast("int").alias("model")), "article_id").join(m, ["model", "key"])
+    rows = v.join(both, "key", "left").withColumn("condition", F.coalesce("condition", F.lit("independent")))
+    r = metrics.per_article(rows, "model", "condition")
+    return r.groupBy("model", "condition").agg(F.count(F.lit(1)).alias("n"), six(F.avg("precision")).alias("precision"), six(F.avg("true_rate")).alias("true_rate"))
+
+
+def _text_pairs(s, d):
+    """(a, b): documents of one language and source, each with the next by doc_id."""
+    docs = S.load(s, d, "documents").select("doc_id", "lang", "source")
+    nxt = F.lead("doc_id").over(W.partitionBy("lang", "source").orderBy("doc_id"))
+    return docs.select(F.col("doc_id").alias("a"), nxt.alias("b")).where("b IS NOT NULL")
+
+
+@query
+def trap_similarity(s, d):
+    docs = S.load(s, d, "documents").select(F.col("doc_id").alias("id"), "text")
+    pairs = compare.tfidf_cosine(_text_pairs(s, d), compare.weights(docs))
+    return pairs.agg(F.count(F.lit(1)).alias("pairs"), F.round(F.avg("cosine"), 5).alias("mean_cosine"), F.round(F.stddev_samp("cosine"), 5).alias("sd_cosine"))
+
+
+@query
+def text_overlap(s, d):
+    words = S.load(s, d, "documents").select("doc_id", T.tokens(F.col("text")).alias("w"))
+    p = _text_pairs(s, d).join(words.select(F.col("doc_id").alias("a"), F.col("w").alias("wa")), "a").join(words.select(F.col("doc_id").alias("b"), F.col("w").alias("wb")), "b")
+    j = p.select(T.jaccard(F.array_distinct("wa"), F.array_distinct("wb")).alias("uni"), T.jaccard(T.ngrams(F.col("wa"), 3), T.ngrams(F.col("wb"), 3)).alias("tri"))
+    return j.agg(six(F.avg("uni")).alias("token_jaccard"), six(F.avg("tri")).alias("trigram_jaccard"))
+
+
+@query
+def trap_lengths(s, d):
+    x = S.load(s, d, "documents").select(F.when(F.col("doc_id") % 2 == 0, "ours").otherwise("rival").alias("system"), F.size(T.tokens(F.col("text"))).alias("w"))
+    return x.groupBy("system").agg(six(F.avg("w")).alias("mean"), F.percentile("w", F.lit(0.5)).alias("median"))
+
+
+@query
+def trap_factuality(s, d):
+    v = _verdicts(s, d).withColumn("system", F.when(F.col("model") == 0, "ours").when(F.col("model") == 1, "rival")).where("system IS NOT NULL")
+    return metrics.macro(metrics.per_article(v, "system", "tier"), "system", "tier").drop("decided_articles")
+
+
+@query
+def tool_traces(s, d):
+    c = S.load(s, d, "conversations").groupBy("conv_id").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("turn", "role", "text"))), lambda x: F.concat_ws(": ", x["role"], x["text"])), "\n").alias("t"))
+    return c.select("conv_id", F.size(F.regexp_extract_all("t", F.lit(r"(?m)^(user|assistant|system|tool): "), F.lit(1))).alias("markers")).where("markers > 0")
+
+
+# Audit
+
+
+@query
+def text_verdicts(s, d):
+    docs, items = S.load(s, d, "documents").select("doc_id", "text"), S.load(s, d, "benchmark").select("item_id", F.col("text").alias("item"))
+    claim = audit.claims_of(docs, "doc_id", "text")
+    known = items.select(F.explode(audit_sentences(F.col("item"))).alias("claim")).distinct()
+    hit = claim.join(known.withColumn("s", F.lit(1)), "claim", "left")
+    return hit.groupBy("doc_id").agg(F.count(F.lit(1)).alias("claims"), F.count("s").alias("supported"))
+
+
+def audit_sentences(text):
+    parts = F.transform(F.split(text, r"[.!?]+\s+|\n+"), lambda x: F.trim(F.regexp_replace(x, r"[.!?\s]+$", "")))
+    return F.filter(parts, lambda x: F.length(x) >= 15)
+
+
+@query
+def slot_verdicts(s, d):
+    line = S.load(s, d, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_shipdate")
+    o = S.load(s, d, "orders").select(F.col("o_orderkey").alias("l_orderkey"), "o_orderdate", "o_custkey")
+    p = S.load(s, d, "part").select(F.col("p_partkey").alias("l_partkey"), "p_retailprice")
+    sup, c = S.load(s, d, "supplier").select(F.col("s_suppkey").alias("l_suppkey"), "s_nationkey"), S.load(s, d, "customer").select(F.col("c_custkey").alias("o_custkey"), "c_nationkey")
+    x = line.join(o, "l_orderkey").join(p, "l_partkey").join(sup, "l_suppkey").join(c, "o_custkey")
+    late = F.when(F.col("l_shipdate") < F.col("o_orderdate"), "before").otherwise("after")
+    slot = lambda k, a, b: F.struct(F.lit(k).alias("kind"), a.cast("string").alias("object"), b.cast("string").alias("evidence"))
+    slots = x.select(F.col("l_orderkey").alias("subject"), F.explode(F.array(slot("temporal", late, F.lit("after")), slot("spatial", F.col("s_nationkey"), F.col("c_nationkey")), slot("numerical", F.floor("l_quantity"), F.when(F.col("p_retailprice") > 0, F.floor(F.col("l_extendedprice") / F.col("p_retailprice")))))).alias("x")).select("subject", F.col("x.kind").alias("predicate"), "x.*")
+    return audit.slot_verdicts(slots).groupBy("predicate", "verdict", "error_type").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query
+def coercion_rate(s, d):
+    e = S.load(s, d, "events").select("event_id", "event_type")
+    why = F.when(F.col("event_type") == "view", "The page does not mention this").when(F.col("event_type") == "error", "no evidence was found").otherwise("The page states another value")
+    v = e.select("event_id", F.lit("refuted").alias("verdict"), F.lit("other").alias("error_type"), why.alias("explanation"))
+    c = metrics.coerce(v)
+    return c.agg(F.count(F.lit(1)).alias("initially_refuted"), F.sum(F.col("coerced").cast("int")).alias("coerced"), six(F.avg(F.col("coerced").cast("double"))).alias("rate"))
+
+
+def _human(s, d):
+    human = F.when(F.col("toxic") == 1, "refuted").when(F.col("quality") == 1, "supported").otherwise("insufficient")
+    byte = F.conv(F.substring(F.md5(F.col("doc_id").cast("string")), 1, 2), 16, 10).cast("int") % 3
+    judge = F.when(byte == 0, "supported").when(byte == 1, "refuted").otherwise("insufficient")
+    return S.load(s, d, "labels").select("doc_id", human.alias("human"), judge.alias("judge"))
+
+
+@query
+def human_agreement(s, d):
+    return metrics.agreement(metrics.sample(_human(s, d), "doc_id", 33, "judge"))
+
+
+@query
+def human_drift(s, d):
+    return metrics.drift(_human(s, d))
+
+
+# The example policy over the test pages' roots.
+POLICY, BLOCKED = {"example.com": 80, "blog.thering.example.net": 65}, {"example.org"}
+
+
+@query
+def domain_scores(s, d):
+    p = S.load(s, d, "pages").select("page_id", "url")
+    h = audit.host(F.col("url"))
+    sc = audit.domain_score(h, F.col("url"), POLICY, BLOCKED)
+    return p.select("page_id", h.alias("host"), sc.alias("score"), F.coalesce(sc >= 60, F.lit(False)).alias("eligible"))
+
+
+@query
+def page_usability(s, d):
+    return S.load(s, d, "pages").select(audit.usability(F.col("html")).alias("reason")).groupBy("reason").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query
+def evidence_top3(s, d):
+    p = S.load(s, d, "pages")
+    h = audit.host(F.col("url"))
+    x = p.select("page_id", "url", F.lower(F.regexp_extract("html", r"<h1>([^< ]*)", 1)).alias("subject"), audit.domain_score(h, F.col("url"), POLICY, BLOCKED).alias("score"), audit.usability(F.col("html")).alias("reason"))
+    return audit.tier2(x, "subject").select("subject", "rank", "page_id", "score")
+
+
+@query
+def markup_links(s, d):
+    x = S.markup(s, d).select("page_id", F.explode(T.links(F.col("wikitext"))).alias("l"))
+    return x.select("page_id", F.col("l.position").cast("bigint").alias("position"), F.col("l.target").alias("target"))
+
+
+@query
+def conflation(s, d):
+    f = S.load(s, d, "lineitem").select(F.col("l_partkey").alias("subject"), F.lit("supplier").alias("predicate"), F.col("l_suppkey").alias("object"))
+    return audit.conflation(f)
+
+
+@query
+def run_cost(s, d):
+    # Example prices for a thousand tokens by stage.
+    price = F.when(F.col("event_type") == "view", 0.5).when(F.col("event_type") == "purchase", 2.0).otherwise(1.0)
+    e = S.load(s, d, "events").select(F.col("event_type").alias("stage"), (F.col("value") * price / 1000).alias("c"), "value")
+    g = e.groupBy("stage").agg(F.count(F.lit(1)).alias("calls"), F.round(F.sum("value"), 2).alias("tokens"), F.round(F.sum("c"), 4).alias("cost_online"))
+    return g.withColumn("cost_batch", F.round(F.col("cost_online") / 2, 4))
+
+
+# Framing
+
+
+# An example lexicon over the test prose.
+LEXICON = [("hedging", "that"), ("hedging", "with"), ("assertive", "the"), ("assertive", "is"), ("rare", "scum"), ("rare", "clown")]
+
+
+@query
+def framing_hits(s, d):
+    tok = S.load(s, d, "documents").select("lang", F.explode(T.tokens(F.col("text"))).alias("tok"))
+    return framing.lexicon_hits(tok, s.createDataFrame(LEXICON, "dimension string, entry string"), "lang")
+
+
+def _tests(s, d, models, topics, dims, per=30):
+    art = S.articles(s, d).where(F.col("model").isin(models) & F.col("topic").isin(topics)).select("article_id", "subject", "model", "topic", "persona")
+    whole = art.groupBy("model", "topic", "subject").agg(F.count_distinct("persona").alias("c")).where("c = 3")
+    h = F.md5(F.concat(F.lit("42:"), F.col("subject").cast("string")))
+    chosen = whole.withColumn("r", F.row_number().over(W.partitionBy("model", "topic").orderBy(h, "subject"))).where(F.col("r") <= per).select("model", "topic", "subject")
+    line = S.load(s, d, "lineitem").select(F.col("l_orderkey").alias("article_id"), "l_partkey", "l_quantity")
+    part = S.load(s, d, "part").select(F.col("p_partkey").alias("l_partkey"), F.regexp_extract("p_brand", r"(\d+)$", 1).cast("int").alias("dim"))
+    x = line.join(art, "article_id").join(chosen, ["model", "topic", "subject"]).join(part, "l_partkey")
+    keys = ["model", "topic", "subject", "persona"]
+    size = x.groupBy(*keys).agg(F.sum("l_quantity").alias("q"))
+    hits = x.where(F.col("dim") <= dims).groupBy(*keys, "dim").agg(F.count(F.lit(1)).alias("h"))
+    grid = size.join(s.range(1, dims + 1).select(F.col("id").cast("int").alias("dim"))).join(hits, [*keys, "dim"], "left")
+    rate = grid.withColumn("rate", F.round(1000 * F.coalesce("h", F.lit(0)) / F.col("q"), 9)).select(*keys, "dim", "rate")
+    a, b = rate.withColumnsRenamed({"persona": "pa", "rate": "ra"}), rate.withColumnsRenamed({"persona": "pb", "rate": "rb"})
+    d_ = a.join(b, ["model", "topic", "subject", "dim"]).where("pa < pb")
+    return d_.select("model", "topic", "pa", "pb", "dim", F.round(F.col("ra") - F.col("rb"), 9).alias("d"))
+
+
+PRIMARY = ([0, 1, 2], ["BUILDING", "FURNITURE", "MACHINERY"])
+
+
+@query
+def wilcoxon_648(s, d):
+    return framing.signed_ranks(_tests(s, d, *PRIMARY, 24), "model", "topic", "pa", "pb", "dim").drop("w_minus")
+
+
+@query
+def wilcoxon_significance(s, d):
+    t = framing.with_p(framing.signed_ranks(_tests(s, d, *PRIMARY, 24), "model", "topic", "pa", "pb", "dim"))
+    return t.agg(F.count(F.lit(1)).alias("tests"), F.sum(F.col("significant").cast("int")).alias("significant"), F.round(F.min("p_bonf"), 6).alias("least_p"))
+
+
+@query
+def contest_gradient(s, d):
+    t = framing.with_p(framing.signed_ranks(_tests(s, d, [0, 2], ["AUTOMOBILE", "HOUSEHOLD"], 8), "model", "topic", "pa", "pb", "dim"))
+    return t.groupBy("topic").agg(F.count(F.lit(1)).alias("tests"), F.sum(F.col("significant").cast("int")).alias("significant"), F.max(F.abs("z")).alias("max_z"))
+
+
+@query
+def actor_spread(s, d):
+    tok = S.load(s, d, "documents").select((F.col("doc_id") % 3).cast("string").alias("persona"), F.explode(T.tokens(F.col("text"))).alias("tok"))
+    n = tok.groupBy("persona").agg(F.count(F.lit(1)).alias("n"))
+    hit = tok.where(F.col("tok").isin("that", "with", "this", "from", "por")).groupBy("persona", "tok").agg(F.count(F.lit(1)).alias("h"))
+    r = hit.join(F.broadcast(n), "persona").select(F.col("tok").alias("actor"), "persona", (1000 * F.col("h") / F.col("n")).alias("rate"))
+    return framing.spread(r, "actor", "persona", "rate")
+
+
+@query
+def persona_structure(s, d):
+    docs = S.load(s, d, "documents").select("doc_id", "lang", T.tokens(F.col("text")).alias("w"))
+    slot = docs.withColumn("r", F.row_number().over(W.partitionBy("lang").orderBy("doc_id")) - 1).withColumns({"persona": (F.col("r") % 3).cast("int"), "slot": F.floor(F.col("r") / 3)})
+    a, b = slot.select("lang", "slot", F.col("persona").alias("pa"), F.col("w").alias("wa")), slot.select("lang", "slot", F.col("persona").alias("pb"), F.col("w").alias("wb"))
+    p = a.join(b, ["lang", "slot"]).where("pa < pb")
+    return p.groupBy("lang", "pa", "pb").agg(F.count(F.lit(1)).alias("n"), six(F.avg(T.jaccard(F.array_distinct("wa"), F.array_distinct("wb")))).alias("uni_j"), six(F.avg(T.jaccard(T.ngrams(F.col("wa"), 3), T.ngrams(F.col("wb"), 3)))).alias("tri_j"))
+
+
+# Streaming
+
+
+@query
+def stream_funnel(s, d):
+    return stage_log.drained(stage_log.funnel(stage_log.source(s, d)), "complete")
+
+
+@query
+def stage_funnel(s, d):
+    return stage_log.funnel(S.load(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")))
+
+
+@query
+def stream_completion(s, d):
+    done = stage_log.completion(S.load(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")))
+    return done.agg(F.count(F.lit(1)).alias("requests"), F.sum("done").alias("done"))
