@@ -83,7 +83,7 @@ def expand(seeds: DataFrame, links: DataFrame, *, sanitizer: Callable[[DataFrame
 def expand_sql(spark, links: DataFrame, seed, max_hop: int) -> DataFrame:
     """The same for small graphs as one recursive query."""
     links.createOrReplaceTempView("_links")
-    literal = f"'{seed}'" if isinstance(seed, str) else str(seed)
+    literal = f"CAST('{seed}' AS {links.schema['dst'].dataType.simpleString()})"
     return spark.sql(
         f"WITH RECURSIVE r(key, hop) MAX RECURSION LEVEL {max_hop + 1} AS (SELECT {literal}, 0 UNION ALL SELECT l.dst, hop + 1 FROM r JOIN _links l ON l.src = r.key WHERE hop < {max_hop}) SELECT key, min(hop) AS hop FROM r GROUP BY key"
     )
