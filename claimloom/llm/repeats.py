@@ -137,6 +137,35 @@ def _unpack(row: dict) -> bytes:
     return pa.decompress(row["payload"], row["size"], codec="zstd", asbytes=True)
 
 
+def _give_back() -> None:
+    """Hand freed memory back after a group: a worker lives through many of them."""
+    import ctypes
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass  # another C library
+
+
+def _grouped(step: Callable[[pa.Table], pa.Table]) -> Callable[[pa.Table], pa.Table]:
+    def run(table: pa.Table) -> pa.Table:
+        out = step(table)
+        _give_back()
+        return out
+
+    return run
+
+
+def _paired(step: Callable[[pa.Table, pa.Table], pa.Table]) -> Callable[[pa.Table, pa.Table], pa.Table]:
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        out = step(left, right)
+        _give_back()
+        return out
+
+    return run
+
+
 _SENT = pa.schema([("dest", pa.int64()), ("chunk", pa.int64()), ("first", pa.int64()), ("n", pa.int64()), ("size", pa.int64()), ("payload", pa.binary())])
 _SENT_SQL = "dest bigint, chunk bigint, first bigint, n bigint, size bigint, payload binary"
 
@@ -369,8 +398,8 @@ def spans(docs: DataFrame, how: Repeats, text: str = "text", key: str = "doc_id"
         )
 
     by_chunk = dealt.groupBy("chunk")
-    answers = by_chunk.applyInArrow(ask, _SENT_SQL).groupBy("dest").applyInArrow(answer, _SENT_SQL)
-    sent = by_chunk.cogroup(answers.groupBy("chunk")).applyInArrow(send, _SENT_SQL)
-    settled = sent.groupBy("dest").applyInArrow(settle, _SENT_SQL)
-    done = by_chunk.cogroup(settled.groupBy("chunk")).applyInArrow(finish, "_key bigint, n bigint, _a array<bigint>, _z array<bigint>, kept binary")
+    answers = by_chunk.applyInArrow(_grouped(ask), _SENT_SQL).groupBy("dest").applyInArrow(_grouped(answer), _SENT_SQL)
+    sent = by_chunk.cogroup(answers.groupBy("chunk")).applyInArrow(_paired(send), _SENT_SQL)
+    settled = sent.groupBy("dest").applyInArrow(_grouped(settle), _SENT_SQL)
+    done = by_chunk.cogroup(settled.groupBy("chunk")).applyInArrow(_paired(finish), "_key bigint, n bigint, _a array<bigint>, _z array<bigint>, kept binary")
     return done.select(F.col("_key").alias(key), "n", F.arrays_zip(F.col("_a").alias("start"), F.col("_z").alias("end")).alias("spans"), "kept")

@@ -22,6 +22,8 @@ from .repeats import Repeats, spans
 MIN_BYTES = 50
 OWNER_BYTES = 16
 BATCH = 1 << 16
+SHARD_BYTES = 1 << 20
+FAMILY_WINDOWS = 1 << 19
 
 
 class SuffixFamily:
@@ -83,13 +85,33 @@ def first_orders(segments: list[bytes], n_windows: np.ndarray, orders: np.ndarra
     return out
 
 
+def by_owner(segments: list[bytes], n_windows: np.ndarray, orders: np.ndarray, owners: np.ndarray, length: int = MIN_BYTES, most: int = FAMILY_WINDOWS) -> np.ndarray:
+    """first_orders with a new family for every `most` windows or so; strings of different owners never match."""
+    begin = np.cumsum(n_windows) - n_windows
+    out = np.empty(int(n_windows.sum()), np.int64)
+    line = np.argsort(owners, kind="stable")
+    held = np.cumsum(n_windows[line])
+    a = 0
+    while a < len(line):
+        z = int(np.searchsorted(held, (held[a - 1] if a else 0) + most)) + 1
+        while z < len(line) and owners[line[z]] == owners[line[z - 1]]:
+            z += 1
+        pick = line[a:z]
+        n = n_windows[pick]
+        rank = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+        out[np.repeat(begin[pick], n) + rank] = first_orders([segments[i] for i in pick.tolist()], n, orders[pick], length)
+        a = z
+    return out
+
+
 def repeated_bytes(docs: DataFrame, text: str = "text", key: str = "doc_id", length: int = MIN_BYTES, k: int = OWNER_BYTES, **sizes) -> DataFrame:
     """key, n (bytes), spans (removed byte runs) and kept (the other bytes) of every row."""
 
     def decide(segments, n_windows, orders, owners):
-        return first_orders(segments, n_windows, orders, length)
+        return by_owner(segments, n_windows, orders, owners, length)
 
-    return spans(docs, Repeats(length=length, k=min(k, length), words=False, by_order=True, decide=decide, **sizes), text, key)
+    how = Repeats(**{"length": length, "k": min(k, length), "words": False, "by_order": True, "decide": decide, "shard_bytes": SHARD_BYTES} | sizes)
+    return spans(docs, how, text, key)
 
 
 def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
