@@ -125,23 +125,27 @@ ORACLES = {
     "op5_suffix_dedup": """
 WITH d AS (
   SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents
+), piece AS (
+  SELECT doc_id, k * 200 AS base, h[400 * k + 1:400 * k + 498] AS s FROM (SELECT doc_id, h, unnest(range(0, (len(h) // 2 + 199) // 200)) AS k FROM d)
 ), win AS (
-  SELECT doc_id, p, h[2 * p + 1:2 * p + 100] AS body
-  FROM (SELECT doc_id, h, unnest(range(0, len(h) // 2 - 49)) AS p FROM d WHERE len(h) >= 100)
+  SELECT doc_id, base + j AS p, md5(s[2 * j + 1:2 * j + 100]) AS body FROM (SELECT doc_id, base, s, unnest(range(0, least(200, len(s) // 2 - 49))) AS j FROM piece WHERE len(s) >= 100)
 ), firsts AS (
   SELECT body, min(doc_id) AS m FROM win GROUP BY body HAVING min(doc_id) < max(doc_id)
-), cover AS (
-  SELECT DISTINCT doc_id, i FROM (SELECT doc_id, unnest(range(p, p + 50)) AS i FROM win JOIN firsts USING (body) WHERE m < doc_id)
+), hit AS (
+  SELECT doc_id, p FROM win JOIN firsts USING (body) WHERE m < doc_id
+), byte AS (
+  SELECT doc_id, base + j AS i, s[2 * j + 1:2 * j + 2] AS b
+  FROM (SELECT doc_id, base, s, unnest(range(0, least(200, len(s) // 2))) AS j FROM piece SEMI JOIN hit USING (doc_id))
+), marked AS (
+  SELECT byte.doc_id, i, b, max(hit.p) OVER (PARTITION BY byte.doc_id ORDER BY i ROWS BETWEEN 49 PRECEDING AND CURRENT ROW) IS NOT NULL AS gone
+  FROM byte LEFT JOIN hit ON hit.doc_id = byte.doc_id AND hit.p = byte.i
 ), runs AS (
-  SELECT doc_id, count(*) AS n, count(*) FILTER (WHERE gap) AS s
-  FROM (SELECT doc_id, coalesce(i - lag(i) OVER (PARTITION BY doc_id ORDER BY i) > 1, true) AS gap FROM cover) GROUP BY doc_id
-), kept AS (
-  SELECT doc_id, string_agg(b, '' ORDER BY i) AS t
-  FROM (SELECT doc_id, i, h[2 * i + 1:2 * i + 2] AS b FROM (SELECT doc_id, h, unnest(range(0, len(h) // 2)) AS i FROM d SEMI JOIN runs USING (doc_id)))
-  ANTI JOIN cover USING (doc_id, i) GROUP BY doc_id
+  SELECT doc_id, count(*) FILTER (WHERE gone) AS n, count(*) FILTER (WHERE gone AND NOT coalesce(before, false)) AS s,
+    coalesce(string_agg(b, '' ORDER BY i) FILTER (WHERE NOT gone), '') AS t
+  FROM (SELECT *, lag(gone) OVER (PARTITION BY doc_id ORDER BY i) AS before FROM marked) GROUP BY doc_id
 )
 SELECT d.doc_id, CAST(len(d.h) // 2 AS BIGINT) AS n_bytes, CAST(coalesce(runs.n, 0) AS BIGINT) AS n_removed, CAST(coalesce(runs.s, 0) AS BIGINT) AS n_spans,
-  sha256(unhex(CASE WHEN runs.n IS NULL THEN d.h ELSE coalesce(kept.t, '') END)) AS kept_sha256
-FROM d LEFT JOIN runs USING (doc_id) LEFT JOIN kept USING (doc_id)
+  sha256(unhex(coalesce(runs.t, d.h))) AS kept_sha256
+FROM d LEFT JOIN runs USING (doc_id)
 """
 }
