@@ -109,6 +109,13 @@ def bfs_text_hops(s, d):
     return found.groupBy("hop").agg(F.count(F.lit(1)).alias("new_subjects"))
 
 
+@query
+def bfs_text_walk(s, d):
+    """bfs_text_hops to its fixed point; no SQL twin, as the recursive one walks every path."""
+    found = crawl.expand(s.createDataFrame([("and",)], "key string"), S.text_links(s, d))
+    return found.groupBy("hop").agg(F.count(F.lit(1)).alias("new_subjects"))
+
+
 @query
 def bfs_budget(s, d):
     found = crawl.expand(s.createDataFrame([(0,)], "key bigint"), S.accepted_links(s, d), budget=200)

@@ -5,6 +5,8 @@ from pyspark.sql import functions as F
 
 from claimloom.functions import text as T
 from claimloom.operators import audit, compare, crawl, framing, metrics
+from claimloom.plans import catalog
+from claimloom.sources import tables as S
 from claimloom.streaming import stage_log
 
 
@@ -45,6 +47,18 @@ def test_waves_and_race(spark):
     assert (one.parent, one.position, one.proposals) == (1, 3, 3)
 
 
+def test_text_walk_is_whole(spark, tmp_path):
+    words = ["and", "bee", "cow", "dog", "elk", "fox", "gnu", "hen"]
+    spark.createDataFrame([(i, f"{a}\n{b}") for i, (a, b) in enumerate(zip(words, words[1:]))], "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    links = [(r.src, r.dst) for r in S.text_links(spark, str(tmp_path)).collect()]
+    reached, hop = {"and": 0}, 0
+    while new := {b for a, b in links if reached.get(a) == hop} - set(reached):
+        hop += 1
+        reached |= dict.fromkeys(new, hop)
+    got = {r.hop: r.new_subjects for r in catalog.QUERIES["bfs_text_walk"](spark, str(tmp_path)).collect()}
+    assert got == {h: list(reached.values()).count(h) for h in set(reached.values())}
+
+
 def test_stage3(spark):
     cands = spark.createDataFrame([(1,), (2,), (3,)], "id bigint")
     pairs = spark.createDataFrame([(1, 10, 0.95), (2, 11, 0.95)], "id bigint, known bigint, cosine double")
