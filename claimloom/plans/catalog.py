@@ -174,7 +174,7 @@ def survival_bands(s, d):
 @query
 def reject_reasons_stage2(s, d):
     words = S.load(s, d, "documents").select(F.explode(F.split("text", r"\n")).alias("phrase"))
-    why = words.select(F.coalesce(crawl.entity_filter(F.substring("phrase", 1, 60)), F.lit("accepted")).alias("reason"))
+    why = words.select(F.coalesce(crawl.entity_filter(F.col("phrase")), F.lit("accepted")).alias("reason"))
     n = why.groupBy("reason").agg(F.count(F.lit(1)).alias("n"))
     return n.join(F.broadcast(n.agg(F.sum("n").alias("t")))).select("reason", "n", six(F.col("n") / F.col("t")).alias("share"))
 

@@ -59,6 +59,13 @@ def test_text_walk_is_whole(spark, tmp_path):
     assert got == {h: list(reached.values()).count(h) for h in set(reached.values())}
 
 
+def test_reject_reasons_see_whole_lines(spark, tmp_path):
+    long = " ".join(["longerword"] * 9)
+    assert len(long[:60].split()) <= 8
+    spark.createDataFrame([(0, long + "\nAda Kern")], "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    assert {(r.reason, r.n) for r in catalog.QUERIES["reject_reasons_stage2"](spark, str(tmp_path)).collect()} == {("too_long", 1), ("accepted", 1)}
+
+
 def test_stage3(spark):
     cands = spark.createDataFrame([(1,), (2,), (3,)], "id bigint")
     pairs = spark.createDataFrame([(1, 10, 0.95), (2, 11, 0.95)], "id bigint, known bigint, cosine double")
