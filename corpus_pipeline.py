@@ -26,14 +26,10 @@ def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each SimHash group: the one whose doc_id names the group. Documents without any word are kept out of groups."""
-    groups = simhash.near_duplicates(docs.where(~_wordless())).where(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
-    alone = docs.where(_wordless() | F.col("doc_id").isNull())
-    return docs.where(~_wordless()).join(groups, "doc_id", "left_semi").unionByName(alone).select(*docs.columns)
-
-
-def _wordless():
-    return F.coalesce(F.expr("trim(BOTH ' \\t\\n\\r\\f\\u000b' FROM text)"), F.lit("")) == ""
+    """One document of each SimHash group: the one whose doc_id names the group. Documents without any word are one group; those without a doc_id stay."""
+    groups = simhash.near_duplicates(docs).where(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
+    alone = docs.where(F.col("doc_id").isNull())
+    return docs.join(groups, "doc_id", "left_semi").unionByName(alone).select(*docs.columns)
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -28,3 +28,9 @@ def test_stages_take_effect(spark):
     last = corpus_pipeline.STAGES[-1][1](spark, docs, SF)
     assert {r.doc_id for r in last.collect()} == seen
     assert {r.doc_id for r in corpus_pipeline.run(spark, SF).collect()} == seen
+
+
+def test_wordless_documents_are_one_group(spark):
+    rows = [(1, "one two three four five six"), (2, ""), (3, None), (4, " \n\t"), (5, "quite another text of other words"), (None, "")]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    assert sorted(str(r.doc_id) for r in corpus_pipeline.near_duplicate_stage(spark, docs, SF).collect()) == ["1", "2", "5", "None"]
