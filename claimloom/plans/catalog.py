@@ -139,6 +139,14 @@ def coverage_rollup(s, d):
     return crawl.coverage_states(found, e.select(F.col("src").alias("key")).distinct().join(found.where("hop < 3"), "key", "left_semi"))
 
 
+@query
+def coverage_rollup_walk(s, d):
+    """coverage_rollup over the whole walk."""
+    e = S.accepted_links(s, d)
+    found = crawl.expand(s.createDataFrame([(0,)], "key bigint"), e)
+    return crawl.coverage_states(found, e.select(F.col("src").alias("key")).distinct().join(found, "key", "left_semi"))
+
+
 def _funnel_rows(s, d):
     art = S.articles(s, d).select("article_id", "model", "hop")
     line = S.load(s, d, "lineitem").select(F.col("l_orderkey").alias("article_id"), F.col("l_partkey").alias("key"))
@@ -196,6 +204,16 @@ def insert_loss(s, d):
     return one.agg(F.sum("n").alias("accepted"), F.count(F.lit(1)).alias("inserted"), six(1 - F.count(F.lit(1)) / F.sum("n")).alias("loss"))
 
 
+@query
+def insert_loss_walk(s, d):
+    """insert_loss over all waves: each wave's offers are its links to subjects that no wave up to it holds."""
+    e = S.accepted_links(s, d)
+    known = crawl.expand(s.createDataFrame([(0,)], "key bigint"), e).select("key", "hop")
+    ends = e.join(known.select(F.col("key").alias("src"), F.col("hop").alias("h")), "src").join(known.select(F.col("key").alias("dst"), "hop"), "dst")
+    one = ends.where("hop > h").groupBy("dst").agg(F.count(F.lit(1)).alias("n"))
+    return one.agg(F.sum("n").alias("accepted"), F.count(F.lit(1)).alias("inserted"), six(1 - F.count(F.lit(1)) / F.sum("n")).alias("loss"))
+
+
 @query
 def alias_summary(s, d):
     docs = S.load(s, d, "documents").select("doc_id", F.md5("text").alias("key"))

@@ -66,6 +66,16 @@ def test_reject_reasons_see_whole_lines(spark, tmp_path):
     assert {(r.reason, r.n) for r in catalog.QUERIES["reject_reasons_stage2"](spark, str(tmp_path)).collect()} == {("too_long", 1), ("accepted", 1)}
 
 
+def test_coverage_and_loss_over_the_whole_walk(spark, tmp_path):
+    links = [(0, 1), (0, 2), (1, 3), (2, 3), (3, 4), (4, 5), (4, 6), (5, 7), (6, 7), (7, 0)]
+    rows = [(o, n, p, "A") for o, pair in enumerate(links) for n, p in enumerate(pair)]
+    spark.createDataFrame(rows, "l_orderkey bigint, l_linenumber int, l_partkey bigint, l_returnflag string").write.parquet(f"{tmp_path}/lineitem.parquet")
+    got = {r.hop: (r.total, r.expanded, r.terminal) for r in catalog.QUERIES["coverage_rollup_walk"](spark, str(tmp_path)).collect()}
+    assert got == {0: (1, 1, 0), 1: (2, 2, 0), 2: (1, 1, 0), 3: (1, 1, 0), 4: (2, 2, 0), 5: (1, 1, 0), None: (8, 8, 0)}
+    loss = catalog.QUERIES["insert_loss_walk"](spark, str(tmp_path)).first()
+    assert (loss.accepted, loss.inserted, loss.loss) == (9, 7, round(2 / 9, 6))
+
+
 def test_stage3(spark):
     cands = spark.createDataFrame([(1,), (2,), (3,)], "id bigint")
     pairs = spark.createDataFrame([(1, 10, 0.95), (2, 11, 0.95)], "id bigint, known bigint, cosine double")
