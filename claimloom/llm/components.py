@@ -32,6 +32,8 @@ def connected(edges: DataFrame, left: str, right: str, rounds: int = 64) -> Data
         if after == state:
             break
         state = after
+    else:
+        raise RuntimeError(f"components have not settled after {rounds} rounds")
     return e.select(F.col("v").alias("node"), F.col("u").alias("root")).union(e.select("u", "u").distinct())
 
 

@@ -54,16 +54,19 @@ def within_wave(candidates: DataFrame, *order: str) -> DataFrame:
     return candidates.groupBy("dst").agg(first, F.count(F.lit(1)).alias("proposals")).select("dst", "w.*", "proposals")
 
 
-def expand(seeds: DataFrame, links: DataFrame, *, sanitizer: Callable[[DataFrame, DataFrame], DataFrame] | None = None, depth_cap: int | None = None, budget: int | None = None, most_waves: int = 64) -> DataFrame:
+def expand(seeds: DataFrame, links: DataFrame, *, sanitizer: Callable[[DataFrame, DataFrame], DataFrame] | None = None, depth_cap: int | None = None, budget: int | None = None, most_waves: int | None = None) -> DataFrame:
     """(key, hop, parent) of every subject reached from seeds (column key) over links (src, dst).
 
     A wave joins the newest subjects with the links, drops committed keys by an anti-join, keeps one proposal for each
     key (smallest parent), passes the sanitizer and is committed at once. With a budget the last wave is cut in key order.
+    A walk that has not ended after most_waves is an error.
     """
     start = seeds.select("key", F.lit(0).alias("hop"), F.lit(None).cast(dict(seeds.dtypes)["key"]).alias("parent")).distinct()
     wave = known = committed(start, "wave0")
     total, hop = known.count(), 0
-    while (depth_cap is None or hop < depth_cap) and (budget is None or total < budget) and hop < most_waves:
+    while (depth_cap is None or hop < depth_cap) and (budget is None or total < budget):
+        if most_waves is not None and hop == most_waves:
+            raise RuntimeError(f"the walk has not ended after {most_waves} waves")
         hop += 1
         fresh = wave.select(F.col("key").alias("src")).join(links, "src").join(known.select(F.col("key").alias("dst")), "dst", "left_anti")
         new = fresh.groupBy("dst").agg(F.min("src").alias("parent")).select(F.col("dst").alias("key"), F.lit(hop).alias("hop"), "parent")

@@ -1,9 +1,11 @@
 import itertools
 import random
 
+import pytest
 from pyspark.sql import functions as F
 
 from claimloom.functions import text as T
+from claimloom.llm import components
 from claimloom.operators import audit, compare, crawl, framing, metrics
 from claimloom.plans import catalog
 from claimloom.sources import tables as S
@@ -76,6 +78,14 @@ def test_coverage_and_loss_over_the_whole_walk(spark, tmp_path):
     assert (loss.accepted, loss.inserted, loss.loss) == (9, 7, round(2 / 9, 6))
 
 
+def test_bounds_are_errors(spark):
+    links = spark.createDataFrame([(0, 1), (1, 2), (2, 3)], "src bigint, dst bigint")
+    with pytest.raises(RuntimeError):
+        crawl.expand(spark.createDataFrame([(0,)], "key bigint"), links, most_waves=2)
+    with pytest.raises(RuntimeError):
+        components.connected(links, "src", "dst", rounds=1)
+
+
 def test_stage3(spark):
     cands = spark.createDataFrame([(1,), (2,), (3,)], "id bigint")
     pairs = spark.createDataFrame([(1, 10, 0.95), (2, 11, 0.95)], "id bigint, known bigint, cosine double")
