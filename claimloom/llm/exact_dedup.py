@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .base import as_bytes, small_batches, table, written
+from .base import as_bytes, forget, small_batches, table, written
 from .rolling import windows
 
 SPAN = 32
@@ -78,11 +78,20 @@ def exact_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id") -
     dictionary = chunks.select("_short", "_long").distinct().withColumn("_no", F.row_number().over(W.partitionBy("_short").orderBy("_long")))
     named = chunks.join(dictionary, ["_short", "_long"]).groupBy("_row").agg(F.sort_array(F.collect_list(F.struct("_at", "_short", "_no"))).alias("_ids"))
     listed = named.select("_row", F.transform("_ids", lambda x: F.struct(x["_short"].alias("s"), x["_no"].alias("n"))).alias("_ids"))
-    rows = listed.join(cut.select("_row", key, "text_sha256"), "_row")
+    rows = written(listed.join(cut.select("_row", key, "text_sha256"), "_row"), "listed")
+    forget(cut)
     best = F.max(F.struct(F.col(key).alias("k"), F.col("_row").alias("r")))
-    groups = rows.groupBy("_ids").agg(best.alias("_best"), F.count(F.lit(1)).alias("group_size"))
-    return rows.join(groups, "_ids").select(
-        key, F.col("_best.k").alias("keep_id"), "group_size", (F.col("_best.r") == F.col("_row")).alias("kept"), "text_sha256", F.size("_ids").alias("n_chunks")
+    # Rows of a text of their own need no partner, so the other side holds a row for each text that repeats: a hot text meets
+    # one row of it, which Spark broadcasts if the written table is small and otherwise splits as skewed.
+    groups = written(rows.groupBy("_ids").agg(best.alias("_best"), F.count(F.lit(1)).alias("_size")).where("_size > 1"), "groups")
+    alone = F.col("_size").isNull()
+    return rows.join(groups, "_ids", "left").select(
+        key,
+        F.when(alone, F.col(key)).otherwise(F.col("_best.k")).alias("keep_id"),
+        F.coalesce("_size", F.lit(1)).cast("bigint").alias("group_size"),
+        (alone | (F.col("_best.r") == F.col("_row"))).alias("kept"),
+        "text_sha256",
+        F.size("_ids").alias("n_chunks"),
     )
 
 

@@ -5,9 +5,11 @@ ancestors (tags, class, id and role words) and of its text (length, links, punct
 field with two labels, fitted by stochastic gradient on pages that `training_pages` writes with known labels, is decoded
 by Viterbi; blocks labelled as article are joined by one space.
 
-Scripts, styles, templates, form controls, comments in the markup and the head are no blocks. Character references are
+Scripts, styles, templates, form controls, drawings, embedded media, comments in the markup and the head are no blocks; formulas
+are text. A page may leave out head and body tags: the head ends with the first tag or text that cannot stand in it. An
+unclosed tag ends with its parent, an unclosed control or drawing with the next block-level tag. Character references are
 decoded, white space inside a block becomes one space. Null, empty and tag-less pages give their own text as far as the
-field takes it, empty if none; unclosed tags end with their parent; repeated rows are extracted each; nothing is cut.
+field takes it, empty if none; repeated rows are extracted each; nothing is cut. Cutting takes time linear in the page.
 """
 
 from __future__ import annotations
@@ -25,58 +27,106 @@ from pyspark.sql import functions as F
 
 from .base import small_batches, table
 
-_RAW = "script|style|noscript|template|svg|math|iframe|object|canvas|textarea|select|button|title|audio|video|datalist"
+_RAW = "script|style|textarea|title|iframe|noframes|noembed"  # their content holds no tags
 _TOKEN = re.compile(
     rf"<!--.*?(?:-->|\Z)|<({_RAW})\b[^>]*+(?<!/)>.*?(?:</\1\s*+>|\Z)|<(/?)([a-zA-Z][^\s/>]*+)((?:[^>\"']|\"[^\"]*+\"|'[^']*+')*+)>|<(/?)([a-zA-Z][^\s/>]*+)([^>]*+)>|<[!?][^>]*+>",
     re.S | re.I,
 )
 _ATTR = re.compile(r"\b(class|id|role|aria-label|itemprop)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>\"']+))", re.I)
 _NAME = re.compile(r"[a-z]+")
-_INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr img".split())
+_MATH = "math mi mo mn ms mtext mrow mfrac msqrt mroot mstyle msup msub msubsup munder mover munderover mmultiscripts semantics"
+_INLINE = frozenset(f"a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr img {_MATH}".split())
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 _CLOSES_P = frozenset("address article aside blockquote div dl fieldset figure figcaption footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul details summary".split())
-_SAME = {"li": ("li", ("ul", "ol", "menu")), "dt": ("dt dd", ("dl",)), "dd": ("dt dd", ("dl",)), "tr": ("tr td th", ("table",)), "td": ("td th", ("tr", "table")), "th": ("td th", ("tr", "table")), "option": ("option", ("select",))}
+_PARTS = frozenset("li dt dd tr td th thead tbody tfoot caption body".split())
+_SAME = {"li": ("li", ("ul", "ol", "menu")), "dt": ("dt dd", ("dl",)), "dd": ("dt dd", ("dl",)), "tr": ("tr td th", ("table",)), "td": ("td th", ("tr", "table")), "th": ("td th", ("tr", "table"))}
 _SCOPE = frozenset("article aside body div footer form header html main nav section table td th li blockquote".split())
+_HEAD = frozenset("html head base link meta title style script noscript template".split())
+_HIDDEN = frozenset("template svg object canvas select button audio video datalist annotation annotation-xml".split())
+_BREAKS = frozenset("svg canvas select button datalist annotation annotation-xml".split())  # a block-level tag ends them
+_QUIET = frozenset(("svg", "annotation", "annotation-xml"))  # no block ends where they stand
 _LETTER = re.compile(r"[^\W\d_]")
 
 
 class Block:
-    __slots__ = ("text", "path", "names", "linked")
+    __slots__ = ("text", "tags", "last", "names", "linked")
 
-    def __init__(self, text: str, path: tuple, names: frozenset, linked: int):
-        self.text, self.path, self.names, self.linked = text, path, names, linked
+    def __init__(self, text: str, tags: frozenset, last: str, names: frozenset, linked: int):
+        self.text, self.tags, self.last, self.names, self.linked = text, tags, last, names, linked
 
 
-def _pop(stack: list, names, stop) -> None:
-    for i in range(len(stack) - 1, -1, -1):
-        if stack[i][0] in names:
-            del stack[i:]
-            return
-        if stack[i][0] in stop:
+class _Open:
+    """The open elements, with counts of what a block's features ask for."""
+
+    def __init__(self):
+        self.stack: list[tuple[str, tuple]] = []
+        self.tags: dict[str, int] = {}
+        self.names: dict[str, int] = {}
+        self.path: list[str] = []
+
+    def push(self, tag: str, names: tuple) -> None:
+        self.stack.append((tag, names))
+        self.tags[tag] = self.tags.get(tag, 0) + 1
+        if tag not in _INLINE:
+            self.path.append(tag)
+        for n in names:
+            self.names[n] = self.names.get(n, 0) + 1
+
+    def pop(self) -> None:
+        tag, names = self.stack.pop()
+        self.tags[tag] -= 1
+        if not self.tags[tag]:
+            del self.tags[tag]
+        if tag not in _INLINE:
+            self.path.pop()
+        for n in names:
+            self.names[n] -= 1
+            if not self.names[n]:
+                del self.names[n]
+
+    def close(self, names, stop) -> None:
+        """Close the innermost open element of these names, and all inside it, unless one of stop is met first."""
+        if all(n not in self.tags for n in names):
             return
+        for i in range(len(self.stack) - 1, -1, -1):
+            if self.stack[i][0] in names:
+                while len(self.stack) > i:
+                    self.pop()
+                return
+            if self.stack[i][0] in stop:
+                return
+
+    def hidden(self) -> str | None:
+        """The innermost open element if its content is not shown: nothing else is opened inside one."""
+        return self.stack[-1][0] if self.stack and self.stack[-1][0] in _HIDDEN else None
 
 
 def blocks(page: str) -> list[Block]:
     out: list[Block] = []
-    stack: list[tuple[str, tuple]] = []
+    open_ = _Open()
     parts: list[str] = []
-    linked = in_head = 0
+    linked, in_head = 0, False
 
     def flush() -> None:
         nonlocal linked
         text = " ".join(entities.unescape("".join(parts)).split())
-        if text and not in_head:
-            names = frozenset(n for _, ns in stack for n in ns)
-            out.append(Block(text, tuple(t for t, _ in stack if t not in _INLINE), names, min(linked, len(text))))
+        if text:
+            tags = frozenset(t for t in open_.tags if t not in _INLINE)
+            out.append(Block(text, tags, open_.path[-1] if open_.path else "none", frozenset(open_.names), min(linked, len(text))))
         parts.clear()
         linked = 0
 
     def take(piece: str) -> None:
-        nonlocal linked
-        if piece:
-            parts.append(piece)
-            if any(t == "a" for t, _ in stack):
-                linked += len(piece.strip())
+        nonlocal linked, in_head
+        if not piece or open_.hidden():
+            return
+        if in_head:
+            if not piece.strip():
+                return
+            in_head = False
+        parts.append(piece)
+        if "a" in open_.tags:
+            linked += len(piece.strip())
 
     at = 0
     for m in _TOKEN.finditer(page):
@@ -85,38 +135,48 @@ def blocks(page: str) -> list[Block]:
         at = m.end()
         tag = m[3] or m[6]
         if tag is None:
-            if m[1] and m[1].lower() not in ("svg", "math"):
+            if m[1] and not open_.hidden():
                 flush()
             continue
         tag, closing, attributes = tag.lower(), m[2] or m[5], m[4] or m[7] or ""
+        if open_.hidden():
+            if closing:
+                if tag in _INLINE or tag not in open_.tags:
+                    continue
+            elif tag in _CLOSES_P or tag in _PARTS:
+                while open_.hidden() in _BREAKS:
+                    open_.pop()
+                if open_.hidden():
+                    continue
+            else:
+                if tag in _HIDDEN and not attributes.endswith("/"):
+                    open_.push(tag, ())
+                continue
         if tag == "br":
             parts.append(" ")
             continue
         inline = tag in _INLINE
-        if not inline:
+        if not inline and tag not in _QUIET:
             flush()
         if tag == "head":
             in_head = not closing
             continue
-        if tag == "body":
-            in_head = 0
+        if in_head and tag not in _HEAD:
+            in_head = False
         if closing:
-            if any(t == tag for t, _ in stack):
-                if inline:
-                    _pop(stack, (tag,), _SCOPE | _CLOSES_P)
-                else:
-                    _pop(stack, (tag,), ())
+            if tag in open_.tags:
+                open_.close((tag,), _SCOPE | _CLOSES_P if inline else ())
             continue
         if tag in _CLOSES_P:
-            _pop(stack, ("p",), _SCOPE)
+            open_.close(("p",), _SCOPE)
         if tag in _SAME:
-            _pop(stack, _SAME[tag][0].split(), _SAME[tag][1])
-        if tag in _VOID or attributes.endswith("/") and inline:
+            open_.close(_SAME[tag][0].split(), _SAME[tag][1])
+        if tag in _VOID or attributes.endswith("/") and (inline or tag in _HIDDEN):
             continue
         names = ()
         if "=" in attributes:
-            names = tuple(n for a in _ATTR.finditer(attributes) for n in _NAME.findall((a[2] or a[3] or a[4] or "").lower()))
-        stack.append((tag, names))
+            names = tuple(n for a in _ATTR.finditer(attributes) for n in _NAME.findall((a[2] or a[3] or a[4] or "").lower()) if n in _ASIDE or n in _BODY)
+        open_.push(tag, names)
     take(page[at:])
     flush()
     return out
@@ -146,13 +206,13 @@ def features(b: Block) -> list[str]:
     last = b.text.rstrip("\"')”»]")[-1:]
     stops = sum(b.text.count(c) for c in ".!?。;:")
     density = b.linked / max(1, len(b.text))
-    out = [f"t:{x}" for x in set(b.path)]
+    out = [f"t:{x}" for x in b.tags]
     out += [f"n:{x}" for x in b.names]
-    inside = "art" if "article" in b.path or "main" in b.path else "out"
-    tag = b.path[-1] if b.path else "none"
+    inside = "art" if "article" in b.tags or "main" in b.tags else "out"
+    tag = b.last
     out += [f"p:{tag}", f"in:{inside}", f"p:{tag}:{inside}", f"len:{min(8, int(math.log2(k + 1)))}", f"link:{int(density * 4)}", f"end:{last in '.!?。…'}", f"stops:{min(4, stops)}"]
     out += [f"long:{k >= 12 and density < 0.3}", f"long:{k >= 12 and density < 0.3}:{inside}", f"copy:{'©' in b.text}"]
-    side = not _ASIDE.isdisjoint(b.names) or not _ASIDE_TAGS.isdisjoint(b.path)
+    side = not _ASIDE.isdisjoint(b.names) or not _ASIDE_TAGS.isdisjoint(b.tags)
     out += [f"side:{side}:{inside}", f"side:{side}:{inside}:{tag}", f"body:{not _BODY.isdisjoint(b.names)}:{side}"]
     if not _LETTER.search(b.text):
         out.append("noletter")

@@ -190,10 +190,14 @@ class Scorer:
 
 
 def _sampled(docs: DataFrame, labels: DataFrame, text: str, key: str, size: int) -> list[tuple]:
-    """(quality, toxic, statistics, feature hashes, their counts) of the sampled documents."""
+    """(quality, toxic, statistics, feature hashes, their counts) of the sampled documents, in an order that the layout of docs does not change.
+
+    A repeated doc_id counts once, with its least text.
+    """
     ids = labels.where(F.col(key).isNotNull()).groupBy(key).agg(F.max("quality").alias("_q"), F.max("toxic").alias("_t"))
     few = ids.orderBy(F.xxhash64(key), key).limit(size)
-    source = docs.select(key, F.col(text).alias("_text")).join(F.broadcast(few), key).select("_q", "_t", "_text")
+    source = docs.select(key, F.col(text).alias("_text")).join(F.broadcast(few), key)
+    source = source.groupBy(key).agg(F.min("_text").alias("_text"), F.max("_q").alias("_q"), F.max("_t").alias("_t")).select("_q", "_t", "_text", F.xxhash64(key).alias("_order"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in small_batches(batches, "_text"):
@@ -204,17 +208,17 @@ def _sampled(docs: DataFrame, labels: DataFrame, text: str, key: str, size: int)
                 f, n = all_features(distinct)
                 packed.append(f.tobytes() + n.astype(np.uint16).tobytes())
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0).cast(pa.int64()), batch.column(1).cast(pa.int64()), pa.array(stats, pa.list_(pa.float64())), pa.array(packed, pa.binary())], names=["_q", "_t", "stats", "packed"]
+                [batch.column(0).cast(pa.int64()), batch.column(1).cast(pa.int64()), pa.array(stats, pa.list_(pa.float64())), pa.array(packed, pa.binary()), batch.column(3)],
+                names=["_q", "_t", "stats", "packed", "_order"],
             )
 
     out = []
-    for r in source.mapInArrow(run, "_q bigint, _t bigint, stats array<double>, packed binary").toLocalIterator():
+    for r in source.mapInArrow(run, "_q bigint, _t bigint, stats array<double>, packed binary, _order bigint").toLocalIterator():
         raw = bytes(r[3])
         n = len(raw) // 10
-        out.append((r[0], r[1], r[2], np.frombuffer(raw, np.int64, n), np.frombuffer(raw, np.uint16, n, 8 * n)))
-        if len(out) == 2 * size:  # only where doc_id repeats
-            break
-    return out
+        out.append((r[4], raw, (r[0], r[1], r[2], np.frombuffer(raw, np.int64, n), np.frombuffer(raw, np.uint16, n, 8 * n))))
+    out.sort(key=lambda x: x[:2])
+    return [x[2] for x in out]
 
 
 def _one_of_each(feats: list[np.ndarray]) -> list[int]:

@@ -24,10 +24,11 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .base import as_bytes, small_batches, table, written
+from .base import as_bytes, forget, small_batches, table, written
 from .components import connected
 
 HOT = 256
+EXPLODED = 1 << 21  # variants that one task makes
 
 
 def fingerprint(text: bytes, width: int = 3, seed: int = 42) -> int:
@@ -66,6 +67,11 @@ def _segments(fp) -> tuple:
     return F.shiftrightunsigned(fp, 32), fp.bitwiseAND(F.lit(0xFFFFFFFF))
 
 
+def _spread(fps: DataFrame, each: int) -> DataFrame:
+    """fps dealt so that a task makes about EXPLODED variants, each of a row: a small table must not be exploded in one task."""
+    return fps.repartition(max(1, -(-fps.count() * each // EXPLODED)))
+
+
 def links(fps: DataFrame, hot: int = HOT) -> DataFrame:
     """Links (a, b) that connect all distinct fingerprints of column fp at two or fewer differing bits (and no others)."""
     high, low = _segments(F.col("fp"))
@@ -73,7 +79,7 @@ def links(fps: DataFrame, hot: int = HOT) -> DataFrame:
         F.sequence(F.lit(0), F.lit(63)),
         lambda x: F.shiftleft(x.cast("bigint"), 32).bitwiseOR(F.when(x < 32, high).otherwise(low).bitwiseAND(F.bitwise_not(F.call_function("shiftleft", F.lit(1).cast("bigint"), x % 32)))),
     )
-    index = fps.select("fp", F.explode(variant).alias("key"))
+    index = _spread(fps, 64).select("fp", F.explode(variant).alias("key"))
     shared = index.groupBy("key").agg(F.count(F.lit(1)).alias("members")).where("members > 1")
     found = written(index.join(shared, "key"), "variants")
     cool, hot_fps = found.where(F.col("members") <= hot).select("key", "fp"), found.where(F.col("members") > hot).select("fp").distinct()
@@ -87,22 +93,27 @@ def links(fps: DataFrame, hot: int = HOT) -> DataFrame:
     once = (slot < 32) | (F.bit_count(dh) > 1)
     pairs = a.join(b, (F.col("key") == F.col("same")) & (F.col("a") < F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= 2) & first & once).select("a", "b")
     two = F.explode(F.flatten(F.transform(F.sequence(F.lit(1), F.lit(63)), lambda i: F.transform(F.sequence(F.lit(0), i - 1), lambda j: F.struct(i.alias("i"), j.alias("j"))))))
-    hot_index = hot_fps.select("fp", two.alias("p")).select(
+    hot_index = _spread(hot_fps, 2016).select("fp", two.alias("p")).select(
         "fp", F.col("p.i").alias("i"), F.col("p.j").alias("j"), F.expr("fp & ~(shiftleft(1L, p.i) | shiftleft(1L, p.j))").alias("rest")
     )
     groups = hot_index.groupBy("i", "j", "rest").agg(F.collect_set("fp").alias("fps")).where(F.size("fps") > 1)  # four members at most
     stars = groups.select(F.array_min("fps").alias("a"), F.explode("fps").alias("b")).where("a < b")
-    return pairs.union(stars).distinct()
+    out = written(pairs.union(stars).distinct(), "links")
+    forget(found)
+    return out
 
 
 def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", width: int = 3) -> DataFrame:
     """key, fingerprint (16 hexadecimal digits) and component_id (smallest key reachable over links) of every row."""
     rows = written(fingerprints(docs, text, key, width), "fingerprints")
-    heads = rows.groupBy("fp").agg(F.min(key).alias("head"))
-    roots = connected(links(heads.select("fp")), "a", "b")
+    heads = written(rows.groupBy("fp").agg(F.min(key).alias("head")), "heads")
+    edges = links(heads.select("fp"))
+    roots = connected(edges, "a", "b")
+    forget(edges)
     named = heads.join(roots, heads["fp"] == roots["node"], "left").select("fp", "head", F.coalesce("root", "fp").alias("root"))
     least = named.groupBy("root").agg(F.min("head").alias("component_id"))
-    by_fp = named.join(least, "root").select("fp", "component_id")
+    by_fp = written(named.join(least, "root").select("fp", "component_id"), "components")  # of known size: broadcast if small
+    forget(heads)
     return rows.join(by_fp, "fp").select(key, F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 

@@ -2,6 +2,7 @@ import hashlib
 import itertools
 import random
 
+import pytest
 import xxhash
 
 from claimloom.llm import exact_dedup, simhash
@@ -108,3 +109,9 @@ def test_simhash_links_hot_and_cool(spark):
         got = {i: i for i in named}
         got |= {r.node: r.root for r in connected(spark.createDataFrame(pairs, "a bigint, b bigint"), "a", "b").collect()}
         assert got == want
+
+
+def test_unsettled_components_are_an_error(spark):
+    links = spark.createDataFrame([(0, 1), (1, 2), (2, 3)], "src bigint, dst bigint")
+    with pytest.raises(RuntimeError):
+        connected(links, "src", "dst", rounds=1)

@@ -17,6 +17,38 @@ def test_page():
     assert got == "A & B First line of the story here. More Second part, unclosed <tag>. It goes on Third. one two"
 
 
+STORY = "<h1>The title of it</h1><p>A first sentence that is long enough to be prose, and goes on.</p><p>A second one of the same kind, which ends here.</p>"
+WANT = "The title of it A first sentence that is long enough to be prose, and goes on. A second one of the same kind, which ends here."
+
+
+def test_unclosed_and_implied_tags():
+    field = html_text.trained()
+    for page in (
+        f"<html><body><div><button>Menu</div><article>{STORY}</article></body></html>",
+        f"<html><body><select><option>a<option>b<article>{STORY}</article></body></html>",
+        f"<html><body><button>Go<article>{STORY}</article></body></html>",
+        f"<html><body><svg><g><path d=x><title>t</title><article>{STORY}</article></body></html>",
+        f"<html><head><title>T</title><meta charset=utf-8><article>{STORY}</article>",
+        f"<title>T</title><article>{STORY}</article>",
+        f"<html><body><article>{STORY}<template><p>A hidden sentence that nobody is shown on the page.</p></template></article></body></html>",
+        f"<html><body><article>{STORY}<video><p>Your browser cannot play this video, so read on.</p></video></article></body></html>",
+    ):
+        assert html_text.main_text(page, field) == WANT, page
+    assert html_text.main_text("<html><body><article><p>We know that <math><mi>a</mi><mo>=</mo><mn>2</mn></math> holds, as was said before.</p></article></body></html>", field) == "We know that a=2 holds, as was said before."
+    assert html_text.main_text("<article><p>Some <svg><g><text>no</text></g></svg>prose that goes on for a while, and then ends.</p></article>", field) == "Some prose that goes on for a while, and then ends."
+
+
+def test_deep_pages_take_linear_time():
+    import time
+
+    took = []
+    for n in (4000, 16000):
+        began = time.process_time()
+        assert len(html_text.blocks("".join(f'<div class="c{i} post">word' for i in range(n)))) == n
+        took.append(time.process_time() - began)
+    assert took[1] < 12 * took[0] + 0.2
+
+
 def test_held_out_accuracy():
     field = html_text.trained()
     pairs = [(g, y) for feats, labels in html_text.training_pages(150, seed=5) for g, y in zip(field.decode(field.scores(feats)), labels)]
