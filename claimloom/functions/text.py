@@ -10,11 +10,11 @@ TOKEN = r"[\p{L}\p{N}_]+"
 
 
 def canonical(surface: str | None) -> str | None:
-    """Compatibility form, case folded, letters and digits only; null if nothing is left."""
+    """Compatibility form, case folded, letters, marks and digits only; null if nothing is left."""
     if surface is None:
         return None
     folded = unicodedata.normalize("NFKC", unicodedata.normalize("NFKC", surface).casefold())
-    return "".join(c for c in folded if c.isalnum()) or None
+    return "".join(c for c in folded if c.isalnum() or unicodedata.category(c)[0] == "M") or None
 
 
 def _canonical_all(surface: pd.Series) -> pd.Series:
@@ -29,7 +29,7 @@ def canon_key(surface: Column) -> Column:
 
 def ascii_key(surface: Column) -> Column:
     """The key where compatibility forms do not matter: JVM only."""
-    return F.nullif(F.lower(F.regexp_replace(surface, r"[^\p{L}\p{N}]", "")), F.lit(""))
+    return F.nullif(F.lower(F.regexp_replace(surface, r"[^\p{L}\p{M}\p{N}]", "")), F.lit(""))
 
 
 _LINK = r"\[\[([^\[\]]+)\]\]"

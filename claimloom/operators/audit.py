@@ -63,3 +63,64 @@ def slot_verdicts(slots: DataFrame, tolerance: float = 0.01) -> DataFrame:
 def conflation(facts: DataFrame) -> DataFrame:
     """Functional predicates with more than one object."""
     return facts.groupBy("subject", "predicate").agg(F.count_distinct("object").alias("n_objects")).where("n_objects > 1")
+
+
+# The error types of refuted claims.
+ERROR_TYPES = ("temporal", "numerical", "spatial", "person_attribution", "entity_relation", "causal", "categorical", "definitional", "fabricated_entity", "partial_truth", "naming", "other")
+
+
+def error_type(claim: Column, evidence: Column) -> Column:
+    """Type of a refuted claim against the evidence it contradicts, by rules over both texts; first match counts."""
+    years = lambda c: F.array_sort(F.regexp_extract_all(c, F.lit(r"\b(1[0-9]{3}|20[0-9]{2})\b"), F.lit(1)))
+    numbers = lambda c: F.array_sort(F.regexp_extract_all(c, F.lit(r"([0-9]+)"), F.lit(1)))
+    both = F.lower(claim)
+    words = lambda c: F.array_distinct(F.split(F.lower(c), r"[^a-z0-9]+"))
+    shared = F.size(F.array_intersect(words(claim), words(evidence))) / F.greatest(F.size(words(claim)), F.lit(1))
+    return (
+        F.when(years(claim) != years(evidence), "temporal")
+        .when(numbers(claim) != numbers(evidence), "numerical")
+        .when(both.rlike(r"\b(born in|located in|city of|north|south|east|west)\b"), "spatial")
+        .when(both.rlike(r"\b(wrote|written by|invented|discovered|founded by)\b"), "person_attribution")
+        .when(both.rlike(r"\b(because|caused|led to|due to)\b"), "causal")
+        .when(both.rlike(r"\b(part of|member of|belongs to|married)\b"), "entity_relation")
+        .when(both.rlike(r"\b(type of|kind of|genus|class of)\b"), "categorical")
+        .when(both.rlike(r"\b(means|defined as|refers to)\b"), "definitional")
+        .when(both.rlike(r"\b(named|called|known as)\b"), "naming")
+        .when(shared >= 0.5, "partial_truth")
+        .when(shared < 0.2, "fabricated_entity")
+        .otherwise("other")
+    )
+
+
+def text_verdicts(claims: DataFrame, evidence: DataFrame, words: int = 3) -> DataFrame:
+    """claims (key, claim_idx, claim) judged by evidence sentences (sentence): equal sentences support a claim.
+
+    A claim is refuted by a sentence of the same first words (its subject) that goes on differently, unless another one
+    supports it. No such sentence: insufficient. error_type is null unless refuted.
+    """
+    head = lambda c: F.array_join(F.slice(F.split(F.lower(c), r"\s+"), 1, words), " ")
+    known = evidence.groupBy(head(F.col("sentence")).alias("_head")).agg(F.min("sentence").alias("_any"))
+    equal = evidence.select(F.col("sentence").alias("claim")).distinct().withColumn("_same", F.lit(1))
+    x = claims.join(equal, "claim", "left").withColumn("_head", head(F.col("claim"))).join(known, "_head", "left")
+    verdict = F.when(F.col("_same") == 1, "supported").when(F.col("_any").isNotNull(), "refuted").otherwise("insufficient")
+    return x.withColumn("verdict", verdict).withColumn("error_type", F.when(F.col("verdict") == "refuted", error_type(F.col("claim"), F.col("_any")))).drop("_same", "_any", "_head")
+
+
+def retrieve(subjects: DataFrame, pages: DataFrame, reference: DataFrame, top: int = 3, least: int | None = 60) -> DataFrame:
+    """Evidence of each subject by its key alone: (key, tier, evidence).
+
+    subjects: (key); whatever else it holds is not read. reference: (key, text), tier 1. pages: (key, url, score, reason,
+    text, snippet); the best usable pages joined in order are tier 2, a page without text gives its snippet. least none: the
+    open web, without score or block list. A subject without either has tier null.
+    """
+    one = subjects.select("key").distinct()
+    first = one.join(reference.select("key", "text"), "key").select("key", F.lit(1).alias("tier"), F.col("text").alias("evidence"))
+    ok = pages.where(F.col("reason") == "usable")
+    if least is not None:
+        ok = ok.where(F.col("score") >= least)
+    ranked = ok.withColumn("rank", F.row_number().over(W.partitionBy("key").orderBy(F.desc_nulls_last("score"), "url"))).where(F.col("rank") <= top)
+    body = F.coalesce(F.nullif(F.col("text"), F.lit("")), F.col("snippet"))
+    joined = ranked.groupBy("key").agg(F.sort_array(F.collect_list(F.struct("rank", body.alias("body")))).alias("p"))
+    second = one.join(joined, "key").join(first.select("key"), "key", "left_anti").select("key", F.lit(2).alias("tier"), F.array_join(F.transform("p", lambda x: x.body), "\n").alias("evidence"))
+    found = first.union(second)
+    return one.join(found, "key", "left")

@@ -15,9 +15,12 @@ TAU_CONFIDENCE, TAU_COSINE, LEAD_WORDS = 0.75, 0.90, 30
 
 
 def shared_dir(spark) -> str:
+    """The folder that driver and executors share: spark.checkpoint.dir. A folder of our own serves local sessions only."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     import tempfile
 
     own = f"file://{tempfile.mkdtemp(prefix='claimloom-')}"
@@ -29,7 +32,16 @@ def committed(df: DataFrame, name: str) -> DataFrame:
     """df written in the shared folder and read again: a wave's commit, and the end of its lineage."""
     path = f"{shared_dir(df.sparkSession)}/crawl/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._committed_path = path
+    return out
+
+
+def dropped(df: DataFrame) -> None:
+    """Delete the files of a committed table that no later result reads."""
+    spark, path = df.sparkSession, df._committed_path
+    jpath = spark._jvm.org.apache.hadoop.fs.Path(path)
+    jpath.getFileSystem(spark._jsc.hadoopConfiguration()).delete(jpath, True)
 
 
 def confidence_gate(links: DataFrame, tau: float = TAU_CONFIDENCE, strict: bool = True) -> DataFrame:
@@ -61,6 +73,8 @@ def expand(seeds: DataFrame, links: DataFrame, *, sanitizer: Callable[[DataFrame
     key (smallest parent), passes the sanitizer and is committed at once. With a budget the last wave is cut in key order.
     A walk that has not ended after most_waves is an error.
     """
+    own = not hasattr(links, "_committed_path")
+    links = committed(links, "links") if own else links  # once, not in every wave
     start = seeds.select("key", F.lit(0).alias("hop"), F.lit(None).cast(dict(seeds.dtypes)["key"]).alias("parent")).distinct()
     wave = known = committed(start, "wave0")
     total, hop = known.count(), 0
@@ -80,6 +94,8 @@ def expand(seeds: DataFrame, links: DataFrame, *, sanitizer: Callable[[DataFrame
             break
         total += n
         known = known.union(wave)
+    if own:
+        dropped(links)
     return known
 
 
@@ -129,10 +145,12 @@ def strict_gate(answers: DataFrame, requests: DataFrame, *key: str) -> DataFrame
 
 
 def retry_delays(attempts: DataFrame, base: float = 1.0, factor: float = 2.0, most: int = 5) -> DataFrame:
-    """For each request: attempts made, waiting time under exponential backoff, whether it ended well."""
-    n = F.row_number().over(W.partitionBy("request").orderBy("attempt"))
-    a = attempts.withColumn("n", n).where(F.col("n") <= most)
-    return a.groupBy("request").agg(F.count(F.lit(1)).alias("attempts"), F.sum(F.when(~F.col("ok"), base * F.pow(F.lit(factor), F.col("n") - 1)).otherwise(0.0)).alias("delay"), F.max("ok").alias("ok"))
+    """For each request: attempts made (up to most, none after a success), waiting time before each attempt but the first, whether it ended well."""
+    by = W.partitionBy("request").orderBy("attempt")
+    done = F.coalesce(F.max(F.col("ok").cast("int")).over(by.rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    a = attempts.withColumns({"n": F.row_number().over(by), "done": done}).where((F.col("n") <= most) & (F.col("done") == 0))
+    wait = F.when(F.col("n") > 1, base * F.pow(F.lit(factor), F.col("n") - 2)).otherwise(0.0)
+    return a.groupBy("request").agg(F.count(F.lit(1)).alias("attempts"), F.sum(wait).alias("delay"), F.max("ok").alias("ok"))
 
 
 def leads_converge(a: Column, b: Column, least: float = 0.5, words: int = LEAD_WORDS) -> Column:
@@ -140,7 +158,7 @@ def leads_converge(a: Column, b: Column, least: float = 0.5, words: int = LEAD_W
 
 
 def cosine_pairs(vectors: DataFrame, tau: float, blocks: int | None = None) -> DataFrame:
-    """(id_a, id_b, cosine) of all pairs of unit vectors above tau, exactly: blocks of vectors meet in Arrow batches.
+    """(id_a, id_b, cosine) of all pairs of vectors above tau, exactly: blocks of vectors meet in Arrow batches.
 
     For a set that one block pair holds; `cosine_pairs_lsh` is the way for large sets.
     """
@@ -166,11 +184,12 @@ def cosine_pairs(vectors: DataFrame, tau: float, blocks: int | None = None) -> D
 
 
 def cosine_pairs_lsh(vectors: DataFrame, tau: float, tables: int = 8, bucket: float = 1.0, seed: int = 42) -> DataFrame:
-    """The same by random projections (MLlib), every hit checked exactly; recall depends on the tables."""
+    """The same by random projections (MLlib), every hit checked exactly; vectors are brought to unit length first; recall depends on the tables."""
     from pyspark.ml.feature import BucketedRandomProjectionLSH
     from pyspark.ml.functions import array_to_vector
 
-    v = vectors.select("id", array_to_vector("vec").alias("features"))
+    unit = F.sqrt(F.aggregate("vec", F.lit(0.0), lambda a, x: a + x.cast("double") * x))
+    v = vectors.withColumn("norm", unit).where("norm > 0").select("id", array_to_vector(F.transform("vec", lambda x: x / F.col("norm"))).alias("features"))
     model = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=bucket, numHashTables=tables, seed=seed).fit(v)
     near = model.approxSimilarityJoin(v, v, (2 - 2 * tau) ** 0.5, "distance").where(F.col("datasetA.id") < F.col("datasetB.id"))
     cos = 1 - F.col("distance") * F.col("distance") / 2

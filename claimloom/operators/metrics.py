@@ -97,3 +97,43 @@ def sample(df: DataFrame, key: str, n: int, *by: str, seed: int = 42) -> DataFra
     if not by:
         return df.orderBy(h, key).limit(n)
     return df.withColumn("_r", F.row_number().over(W.partitionBy(*by).orderBy(h, key))).where(F.col("_r") <= n).drop("_r")
+
+
+def confusion(pairs: DataFrame, classes: tuple[str, ...] = ("supported", "refuted", "insufficient")) -> DataFrame:
+    """A row for each class of the judge, a column for each class of the human."""
+    return pairs.groupBy(F.col("judge").alias("class")).agg(*(F.sum((F.col("human") == c).cast("int")).alias(f"human_{c}") for c in classes))
+
+
+def effects(cells: DataFrame, factors: tuple[str, ...], measure: str) -> DataFrame:
+    """Main effects and interactions of two-level factors: mean of the cells with an even number of low levels less the others.
+
+    cells: a row for each combination; the larger of a factor's two values is its high level.
+    """
+    from itertools import combinations
+
+    high = cells.agg(*(F.max(f).alias(f"_{f}") for f in factors))
+    x = cells.join(F.broadcast(high), how="cross")  # one row
+    sign = {f: F.when(F.col(f) == F.col(f"_{f}"), 1.0).otherwise(-1.0) for f in factors}
+    out = []
+    for k in range(1, len(factors) + 1):
+        for group in combinations(factors, k):
+            product = sign[group[0]]
+            for f in group[1:]:
+                product = product * sign[f]
+            out.append(F.struct(F.lit(" x ".join(group)).alias("effect"), six(F.avg(F.when(product > 0, F.col(measure))) - F.avg(F.when(product < 0, F.col(measure)))).alias("points")))
+    return x.agg(F.array(*out).alias("e")).select(F.explode("e").alias("e")).select("e.*")
+
+
+def operating_point(cells: DataFrame, measure: str, cost: str, most_loss: float, *key: str) -> DataFrame:
+    """The cheapest cell whose measure is at most most_loss below the best one; ties by measure, then key."""
+    best = cells.agg(F.max(measure).alias("_best"))
+    ok = cells.join(F.broadcast(best), how="cross").where(F.col(measure) >= F.col("_best") - most_loss)  # one row
+    return ok.orderBy(cost, F.desc(measure), *key).limit(1).drop("_best")
+
+
+def condition_drop(rates: DataFrame, by: str, condition: str, measure: str, a: str, b: str) -> DataFrame:
+    """Measure under two conditions, the drop from a to b, the rank of (by) under each and whether it stays."""
+    wide = rates.groupBy(by).agg(F.max(F.when(F.col(condition) == a, F.col(measure))).alias("first"), F.max(F.when(F.col(condition) == b, F.col(measure))).alias("second"))
+    other = wide.select(F.col("first").alias("f"), F.col("second").alias("s"))
+    rank = wide.join(F.broadcast(other), how="cross").groupBy(by, "first", "second").agg((1 + F.sum((F.col("f") > F.col("first")).cast("int"))).alias("rank_first"), (1 + F.sum((F.col("s") > F.col("second")).cast("int"))).alias("rank_second"))  # few models
+    return rank.withColumns({"drop": six(F.col("first") - F.col("second")), "stable": F.col("rank_first") == F.col("rank_second")})

@@ -7,10 +7,11 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions import text as T
-from ..operators import audit, compare, crawl, framing, metrics
+from ..operators import audit, compare, crawl, framing, joins, metrics
 from ..sources import tables as S
 from ..streaming import stage_log
-from .oracles import ORACLES  # noqa: F401
+from . import crawl_queries, text_queries
+from .oracles import ORACLES as _TWINS
 
 six = metrics.six
 QUERIES: dict = {}
@@ -105,13 +106,6 @@ def bfs_rel_hops(s, d):
 
 @query
 def bfs_text_hops(s, d):
-    found = crawl.expand(s.createDataFrame([("and",)], "key string"), S.text_links(s, d), depth_cap=4)
-    return found.groupBy("hop").agg(F.count(F.lit(1)).alias("new_subjects"))
-
-
-@query
-def bfs_text_walk(s, d):
-    """bfs_text_hops to its fixed point; no SQL twin, as the recursive one walks every path."""
     found = crawl.expand(s.createDataFrame([("and",)], "key string"), S.text_links(s, d))
     return found.groupBy("hop").agg(F.count(F.lit(1)).alias("new_subjects"))
 
@@ -134,15 +128,8 @@ def bfs_topic(s, d):
 
 @query
 def coverage_rollup(s, d):
-    e = S.accepted_links(s, d)
-    found = crawl.expand(s.createDataFrame([(0,)], "key bigint"), e, depth_cap=3)
-    return crawl.coverage_states(found, e.select(F.col("src").alias("key")).distinct().join(found.where("hop < 3"), "key", "left_semi"))
-
-
-@query
-def coverage_rollup_walk(s, d):
-    """coverage_rollup over the whole walk."""
-    e = S.accepted_links(s, d)
+    """Expanded and terminal subjects of the whole walk, by hop and in total."""
+    e = crawl.committed(S.accepted_links(s, d), "links")
     found = crawl.expand(s.createDataFrame([(0,)], "key bigint"), e)
     return crawl.coverage_states(found, e.select(F.col("src").alias("key")).distinct().join(found, "key", "left_semi"))
 
@@ -196,18 +183,8 @@ def parse_modes(s, d):
 
 @query
 def insert_loss(s, d):
-    e = S.accepted_links(s, d)
-    known = crawl.expand(s.createDataFrame([(0,)], "key bigint"), e, depth_cap=2)
-    wave = known.where("hop = 2").select(F.col("key").alias("src"))
-    offers = wave.join(e, "src").join(known.select(F.col("key").alias("dst")), "dst", "left_anti")
-    one = offers.groupBy("dst").agg(F.count(F.lit(1)).alias("n"))
-    return one.agg(F.sum("n").alias("accepted"), F.count(F.lit(1)).alias("inserted"), six(1 - F.count(F.lit(1)) / F.sum("n")).alias("loss"))
-
-
-@query
-def insert_loss_walk(s, d):
-    """insert_loss over all waves: each wave's offers are its links to subjects that no wave up to it holds."""
-    e = S.accepted_links(s, d)
+    """Proposals lost to another parent of the same wave; a wave's offers are its links to subjects that no wave up to it holds."""
+    e = crawl.committed(S.accepted_links(s, d), "links")
     known = crawl.expand(s.createDataFrame([(0,)], "key bigint"), e).select("key", "hop")
     ends = e.join(known.select(F.col("key").alias("src"), F.col("hop").alias("h")), "src").join(known.select(F.col("key").alias("dst"), "hop"), "dst")
     one = ends.where("hop > h").groupBy("dst").agg(F.count(F.lit(1)).alias("n"))
@@ -284,10 +261,10 @@ def shared_vs_independent(s, d):
 
 
 def _text_pairs(s, d):
-    """(a, b): documents of one language and source, each with the next by doc_id."""
+    """(a, b): a document and the one with the next doc_id, if language and source agree."""
     docs = S.load(s, d, "documents").select("doc_id", "lang", "source")
-    nxt = F.lead("doc_id").over(W.partitionBy("lang", "source").orderBy("doc_id"))
-    return docs.select(F.col("doc_id").alias("a"), nxt.alias("b")).where("b IS NOT NULL")
+    nxt = docs.select((F.col("doc_id") - 1).alias("a"), F.col("doc_id").alias("b"), "lang", "source")
+    return docs.withColumnRenamed("doc_id", "a").join(nxt, ["a", "lang", "source"]).select("a", "b")
 
 
 @query
@@ -326,20 +303,6 @@ def tool_traces(s, d):
 # Audit
 
 
-@query
-def text_verdicts(s, d):
-    docs, items = S.load(s, d, "documents").select("doc_id", "text"), S.load(s, d, "benchmark").select("item_id", F.col("text").alias("item"))
-    claim = audit.claims_of(docs, "doc_id", "text")
-    known = items.select(F.explode(audit_sentences(F.col("item"))).alias("claim")).distinct()
-    hit = claim.join(known.withColumn("s", F.lit(1)), "claim", "left")
-    return hit.groupBy("doc_id").agg(F.count(F.lit(1)).alias("claims"), F.count("s").alias("supported"))
-
-
-def audit_sentences(text):
-    parts = F.transform(F.split(text, r"[.!?]+\s+|\n+"), lambda x: F.trim(F.regexp_replace(x, r"[.!?\s]+$", "")))
-    return F.filter(parts, lambda x: F.length(x) >= 15)
-
-
 @query
 def slot_verdicts(s, d):
     line = S.load(s, d, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_shipdate")
@@ -400,7 +363,7 @@ def page_usability(s, d):
 def evidence_top3(s, d):
     p = S.load(s, d, "pages")
     h = audit.host(F.col("url"))
-    x = p.select("page_id", "url", F.lower(F.regexp_extract("html", r"<h1>([^< ]*)", 1)).alias("subject"), audit.domain_score(h, F.col("url"), POLICY, BLOCKED).alias("score"), audit.usability(F.col("html")).alias("reason"))
+    x = p.select("page_id", "url", F.lower(F.regexp_extract("html", r"<h1>([^<]*)", 1)).alias("subject"), audit.domain_score(h, F.col("url"), POLICY, BLOCKED).alias("score"), audit.usability(F.col("html")).alias("reason"))
     return audit.tier2(x, "subject").select("subject", "rank", "page_id", "score")
 
 
@@ -461,19 +424,37 @@ PRIMARY = ([0, 1, 2], ["BUILDING", "FURNITURE", "MACHINERY"])
 
 @query
 def wilcoxon_648(s, d):
-    return framing.signed_ranks(_tests(s, d, *PRIMARY, 24), "model", "topic", "pa", "pb", "dim").drop("w_minus")
+    return framing.signed_ranks(_tests(s, d, *PRIMARY, 24), "model", "topic", "pa", "pb", "dim").drop("w_minus", "mean_d", "tie_sum")
+
+
+def _significant(s, d, models, topics, dims):
+    """Tests of an analysis with p; m counts every test that it has set out to make."""
+    keys = ["model", "topic", "pa", "pb", "dim"]
+    return framing.with_p(framing.signed_ranks(_tests(s, d, models, topics, dims), *keys), m=len(models) * len(topics) * 3 * dims)
 
 
 @query
 def wilcoxon_significance(s, d):
-    t = framing.with_p(framing.signed_ranks(_tests(s, d, *PRIMARY, 24), "model", "topic", "pa", "pb", "dim"))
-    return t.agg(F.count(F.lit(1)).alias("tests"), F.sum(F.col("significant").cast("int")).alias("significant"), F.round(F.min("p_bonf"), 6).alias("least_p"))
+    """Tests with a non-zero difference, significant ones after Bonferroni, and the least raw p."""
+    t = _significant(s, d, *PRIMARY, 24)
+    return t.agg(F.count(F.lit(1)).alias("tests"), F.sum(F.col("significant").cast("int")).alias("significant"), F.round(F.min("p"), 6).alias("least_p"), F.round(F.avg("p"), 6).alias("mean_p"))
+
+
+@query
+def shift_report(s, d):
+    """Shifts of at least 0.5 whose raw p is below 0.05, by dimension and personas."""
+    t = _significant(s, d, *PRIMARY, 24).withColumn("significant", F.col("p") < 0.05)
+    return framing.shift_report(t, 0.5).select("model", "topic", "dim", "higher", "lower", six("shift").alias("shift"), F.round("p", 6).alias("p"))
+
+
+EXTENDED = ([0, 2], ["AUTOMOBILE", "HOUSEHOLD"])
 
 
 @query
 def contest_gradient(s, d):
-    t = framing.with_p(framing.signed_ranks(_tests(s, d, [0, 2], ["AUTOMOBILE", "HOUSEHOLD"], 8), "model", "topic", "pa", "pb", "dim"))
-    return t.groupBy("topic").agg(F.count(F.lit(1)).alias("tests"), F.sum(F.col("significant").cast("int")).alias("significant"), F.max(F.abs("z")).alias("max_z"))
+    """Tests, tests with a raw p below 0.05, and the largest |z| of each topic of both analyses over the first eight dimensions."""
+    t = _significant(s, d, *PRIMARY, 8).where(F.col("model").isin(0, 2)).union(_significant(s, d, *EXTENDED, 8))
+    return t.groupBy("topic").agg(F.count(F.lit(1)).alias("tests"), F.sum((F.col("p") < 0.05).cast("int")).alias("raw_significant"), F.max(F.abs("z")).alias("max_z"))
 
 
 @query
@@ -485,15 +466,6 @@ def actor_spread(s, d):
     return framing.spread(r, "actor", "persona", "rate")
 
 
-@query
-def persona_structure(s, d):
-    docs = S.load(s, d, "documents").select("doc_id", "lang", T.tokens(F.col("text")).alias("w"))
-    slot = docs.withColumn("r", F.row_number().over(W.partitionBy("lang").orderBy("doc_id")) - 1).withColumns({"persona": (F.col("r") % 3).cast("int"), "slot": F.floor(F.col("r") / 3)})
-    a, b = slot.select("lang", "slot", F.col("persona").alias("pa"), F.col("w").alias("wa")), slot.select("lang", "slot", F.col("persona").alias("pb"), F.col("w").alias("wb"))
-    p = a.join(b, ["lang", "slot"]).where("pa < pb")
-    return p.groupBy("lang", "pa", "pb").agg(F.count(F.lit(1)).alias("n"), six(F.avg(T.jaccard(F.array_distinct("wa"), F.array_distinct("wb")))).alias("uni_j"), six(F.avg(T.jaccard(T.ngrams(F.col("wa"), 3), T.ngrams(F.col("wb"), 3)))).alias("tri_j"))
-
-
 # Streaming
 
 
@@ -509,5 +481,49 @@ def stage_funnel(s, d):
 
 @query
 def stream_completion(s, d):
-    done = stage_log.completion(S.load(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")))
-    return done.agg(F.count(F.lit(1)).alias("requests"), F.sum("done").alias("done"))
+    """Clicks, and those followed by a purchase of the same user within a day, by a join of two streams."""
+    done = stage_log.drained(stage_log.completed(stage_log.source(s, d)), "append").agg(F.count_distinct("event_id").alias("done"))
+    asked = S.load(s, d, "events").where("event_type = 'click'").agg(F.count(F.lit(1)).alias("requests"))
+    return asked.join(done, how="cross")  # one row each
+
+
+@query
+def user_sessions(s, d):
+    """Sessions of events less than 30 minutes apart: users, sessions, events, longest session."""
+    x = stage_log.sessions(S.load(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")))
+    return x.agg(F.count_distinct("user_id").alias("users"), F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("events"), F.max("n").alias("longest"))
+
+
+@query
+def late_events(s, d):
+    """Events of each type that come more than an hour behind their user's latest one."""
+    x = stage_log.late_split(S.load(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")))
+    return x.groupBy("event_type").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("late").cast("int")).alias("late"))
+
+
+@query
+def as_of_price(s, d):
+    """The value of a user's latest purchase at or before each click: clicks with one, and the sum of the values."""
+    e = S.load(s, d, "events").select("event_id", "user_id", "ts", "event_type", "value")
+    x = joins.as_of(e.where("event_type = 'click'").select("event_id", "user_id", "ts"), e.where("event_type = 'purchase'").select("user_id", "ts", "value"), "user_id", "ts", "value")
+    return x.agg(F.count(F.lit(1)).alias("clicks"), F.count("value").alias("priced"), F.round(F.sum("value"), 2).alias("total"))
+
+
+@query
+def band_counts(s, d):
+    """Purchases whose value lies within one unit of a click's value, by user."""
+    e = S.load(s, d, "events").select("user_id", "event_type", "value")
+    clicks = e.where("event_type = 'click'").select("user_id", (F.col("value") - 1).alias("low"), (F.col("value") + 1).alias("high"))
+    x = joins.band(e.where("event_type = 'purchase'").select("user_id", F.col("value").alias("at")), clicks, "user_id", "at", "low", "high", 2.0)
+    return x.groupBy("user_id").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query
+def salted_mentions(s, d):
+    """Mentions of each brand, by a join whose hot keys are dealt over eight salts."""
+    line, part = S.load(s, d, "lineitem").select("l_partkey", "l_orderkey"), S.load(s, d, "part").select(F.col("p_partkey").alias("l_partkey"), "p_brand")
+    return joins.salted(line, part, "l_partkey", 8, "l_orderkey").groupBy("p_brand").agg(F.count(F.lit(1)).alias("n"))
+
+
+QUERIES |= crawl_queries.QUERIES | text_queries.QUERIES
+ORACLES = _TWINS | crawl_queries.ORACLES | text_queries.ORACLES

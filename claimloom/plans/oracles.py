@@ -21,6 +21,15 @@ def bfs(links: str, seed: str, depth: int) -> str:
     return f"WITH RECURSIVE {links}, walk(key, hop) AS ({seed} UNION SELECT dst, hop + 1 FROM walk JOIN link ON src = key WHERE hop < {depth}), found AS (SELECT key, min(hop) AS hop FROM walk GROUP BY key)"
 
 
+def levels(links: str, seed: str, waves: int = 16) -> str:
+    """CTEs up to found (key, hop) of a walk to its fixed point, a CTE for each wave: every key is kept once."""
+    parts = [links, f"v0 AS ({seed})", "s0 AS (SELECT key FROM v0)"]
+    for t in range(1, waves + 1):
+        parts.append(f"v{t} AS MATERIALIZED (SELECT DISTINCT dst AS key, {t} AS hop FROM v{t - 1} JOIN link ON src = key WHERE dst NOT IN (SELECT key FROM s{t - 1}))")
+        parts.append(f"s{t} AS MATERIALIZED (SELECT key FROM s{t - 1} UNION ALL SELECT key FROM v{t})")
+    return "WITH " + ", ".join(parts) + ", found AS (" + " UNION ALL ".join(f"SELECT * FROM v{t}" for t in range(waves + 1)) + ")"
+
+
 TEXT_LINK = r"""word AS (SELECT DISTINCT doc_id, lower(regexp_extract(x, '^([\p{L}\p{N}]+)', 1)) AS key FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS x FROM documents) WHERE regexp_matches(x, '^[\p{L}\p{N}]')),
 home AS (SELECT key, arg_min(doc_id, md5('42:' || key || ':' || doc_id)) AS doc_id FROM word GROUP BY key),
 link AS (SELECT home.key AS src, word.key AS dst FROM home JOIN word USING (doc_id) WHERE home.key <> word.key)"""
@@ -55,7 +64,31 @@ w AS (SELECT model, topic, pa, pb, dim, count(*) AS n, CAST(coalesce(sum(rank) F
 z AS (SELECT *, round((w_plus - n * (n + 1) / 4.0) / sqrt(n * (n + 1) * (2 * n + 1) / 24.0 - tie_sum / 48.0), 6) AS z, round((w_plus - w_minus) / (w_plus + w_minus), 6) AS r_rb FROM w)"""
 
 
+# The null distribution of the smaller rank sum: c[s + 1] subsets of 1..k have the sum s. erf by its series without cancellation.
+NULLS = """ways(k, c) AS (SELECT 0, [1.0::DOUBLE] UNION ALL SELECT k + 1, list_transform(range(1, len(c) + k + 2), lambda i: coalesce(c[i], 0) + CASE WHEN i - k - 1 >= 1 THEN coalesce(c[i - k - 1], 0) ELSE 0 END) FROM ways WHERE k < 50)"""
+ERF = "(exp(-z * z / 2) * list_sum(list_transform(range(0, 120), lambda i: pow(abs(z) / sqrt(2), 2 * i + 1) / gamma(i + 1.5))))"
+
+
+def with_p(models: str, topics: str, dims: int, m: int) -> str:
+    """CTEs up to t: the tests with p and p_bonf over m tests."""
+    return tests(models, topics, dims).replace("WITH ", f"WITH RECURSIVE {NULLS}, ", 1) + f""",
+mean AS (SELECT model, topic, pa, pb, dim, round(avg(d) + 1e-12, 6) AS mean_d FROM df GROUP BY ALL),
+t AS (SELECT z.*, mean_d, CASE WHEN tie_sum = 0 AND n <= 50 THEN least(1.0, 2 * list_sum(c[1:CAST(floor(least(w_plus, w_minus)) AS INT) + 1]) / pow(2, n)) ELSE 1 - {ERF} END AS p, {m} AS m FROM z JOIN mean USING (model, topic, pa, pb, dim) LEFT JOIN ways ON k = n)"""
+
+
+GRADIENT = " SELECT topic, count(*) AS tests, CAST(sum(CAST(p < 0.05 AS INT)) AS BIGINT) AS raw_significant, max(abs(z)) AS max_z FROM t GROUP BY topic"
+PRIMARY_P = with_p("0, 1, 2", "'BUILDING', 'FURNITURE', 'MACHINERY'", 24, 648)
+
+
 ORACLES = {
+    "user_sessions": "WITH x AS (SELECT user_id, CASE WHEN lag(ts) OVER w IS NULL OR ts - lag(ts) OVER w >= INTERVAL 30 MINUTE THEN 1 ELSE 0 END AS first, ts FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), y AS (SELECT user_id, sum(first) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM x), z AS (SELECT user_id, k, count(*) AS n FROM y GROUP BY ALL) SELECT count(DISTINCT user_id) AS users, count(*) AS sessions, CAST(sum(n) AS BIGINT) AS events, max(n) AS longest FROM z",
+    "late_events": "SELECT event_type, count(*) AS n, CAST(sum(CAST(coalesce(ts < ahead - INTERVAL 1 HOUR, false) AS INT)) AS BIGINT) AS late FROM (SELECT *, max(ts) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS ahead FROM events) GROUP BY event_type",
+    "as_of_price": "WITH p AS (SELECT user_id, ts, max(value) AS value FROM events WHERE event_type = 'purchase' GROUP BY ALL) SELECT count(*) AS clicks, count(p.value) AS priced, round(sum(p.value), 2) AS total FROM (SELECT * FROM events WHERE event_type = 'click') c ASOF LEFT JOIN p ON c.user_id = p.user_id AND c.ts >= p.ts",
+    "band_counts": "SELECT p.user_id, count(*) AS n FROM events p JOIN events c ON p.user_id = c.user_id AND p.event_type = 'purchase' AND c.event_type = 'click' AND p.value BETWEEN c.value - 1 AND c.value + 1 GROUP BY 1",
+    "salted_mentions": "SELECT p_brand, count(*) AS n FROM lineitem JOIN part ON p_partkey = l_partkey GROUP BY 1",
+    "contest_gradient": "SELECT * FROM (" + with_p("0, 2", "'BUILDING', 'FURNITURE', 'MACHINERY'", 8, 216) + GRADIENT + ") UNION ALL SELECT * FROM (" + with_p("0, 2", "'AUTOMOBILE', 'HOUSEHOLD'", 8, 96) + GRADIENT + ")",
+    "shift_report": PRIMARY_P + " SELECT model, topic, dim, CASE WHEN mean_d > 0 THEN pa ELSE pb END AS higher, CASE WHEN mean_d > 0 THEN pb ELSE pa END AS lower, round(abs(mean_d) + 1e-9, 6) AS shift, round(p, 6) AS p FROM t WHERE p < 0.05 AND abs(mean_d) >= 0.5",
+    "wilcoxon_significance": PRIMARY_P + " SELECT count(*) AS tests, CAST(sum(CAST(least(1.0, p * m) < 0.05 AS INT)) AS BIGINT) AS significant, round(min(p), 6) AS least_p, round(avg(p), 6) AS mean_p FROM t",
     "hop_factuality": f"WITH {V}, {rates('hop')} SELECT hop, count(*) AS articles, count(p) AS decided_articles, {P}, {TR}, {FR}, {UR} FROM r GROUP BY hop",
     "hop_factuality_micro": f"WITH {V} SELECT hop, count(*) AS claims, round(avg(CAST(verdict = 'supported' AS INT)), 6) AS true_rate, round(avg(CAST(verdict = 'refuted' AS INT)), 6) AS false_rate, round(avg(CAST(verdict = 'insufficient' AS INT)), 6) AS unv_rate FROM v GROUP BY hop",
     "tier_factuality": f"WITH {V}, {rates('tier')} SELECT tier, count(*) AS articles, {P}, {TR}, {FR}, {UR}, round(stddev_samp(t), 6) AS true_sd FROM r GROUP BY tier",
@@ -67,8 +100,8 @@ ORACLES = {
     "stratified_sample": f"WITH {ART} SELECT article_id, hop FROM (SELECT *, row_number() OVER (PARTITION BY hop ORDER BY md5('42:' || article_id), article_id) AS r FROM art) WHERE r <= 50",
     "coverage_by_source": "SELECT lang, count(*) AS sampled, count(l.doc_id) AS found, round(count(l.doc_id) / count(*), 6) AS coverage FROM documents d LEFT JOIN (SELECT DISTINCT doc_id FROM labels) l USING (doc_id) GROUP BY lang",
     "ablation_cube": f"WITH {CLAIM}, v AS (SELECT *, l_linestatus AS sg, CAST(l_suppkey % 2 AS INT) AS prompt, CAST(l_partkey % 2 AS INT) AS reasoning FROM claim), {rates('sg, prompt, reasoning')}, c AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY sg, prompt, reasoning ORDER BY md5('42:' || article_id), article_id) AS k FROM r) WHERE k <= 500) SELECT sg, prompt, reasoning, count(*) AS n, {P}, {TR}, {FR}, {UR} FROM c GROUP BY CUBE (sg, prompt, reasoning)",
-    "bfs_rel_hops": bfs(LINK, "SELECT CAST(0 AS BIGINT), 0", 20) + " SELECT hop, count(*) AS new_subjects FROM found GROUP BY hop",
-    "bfs_text_hops": bfs(TEXT_LINK, "SELECT 'and', 0", 4) + " SELECT hop, count(*) AS new_subjects FROM found GROUP BY hop",
+    "bfs_rel_hops": levels(LINK, "SELECT CAST(0 AS BIGINT) AS key, 0 AS hop") + " SELECT hop, count(*) AS new_subjects FROM found GROUP BY hop",
+    "bfs_text_hops": levels(TEXT_LINK, "SELECT 'and' AS key, 0 AS hop", 24) + " SELECT hop, count(*) AS new_subjects FROM found GROUP BY hop",
     "bfs_budget": bfs(LINK, "SELECT CAST(0 AS BIGINT), 0", 20) + ", cut AS (SELECT *, row_number() OVER (ORDER BY hop, key) AS r FROM found) SELECT hop, count(*) AS committed, max(key) AS largest FROM cut WHERE r <= 200 GROUP BY hop",
     "bfs_topic": bfs(
         "e0 AS (SELECT DISTINCT a.l_partkey AS src, b.l_partkey AS dst FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey AND a.l_linenumber < b.l_linenumber AND a.l_partkey <> b.l_partkey WHERE a.l_returnflag = 'A' AND b.l_returnflag = 'A'), link AS (SELECT DISTINCT src, dst FROM (SELECT src, dst FROM e0 UNION SELECT dst, src FROM e0) JOIN part ON p_partkey = dst WHERE p_type = 'ECONOMY')",
@@ -76,13 +109,13 @@ ORACLES = {
         2,
     )
     + " SELECT hop, count(*) AS new_subjects FROM found GROUP BY hop",
-    "coverage_rollup": bfs(LINK, "SELECT CAST(0 AS BIGINT), 0", 3) + ", x AS (SELECT hop, CASE WHEN hop < 3 AND key IN (SELECT src FROM link) THEN 1 END AS e FROM found) SELECT hop, count(*) AS total, count(e) AS expanded, count(*) - count(e) AS terminal, round((count(*) - count(e)) / count(*), 6) AS terminal_share FROM x GROUP BY ROLLUP (hop)",
+    "coverage_rollup": levels(LINK, "SELECT CAST(0 AS BIGINT) AS key, 0 AS hop") + ", x AS (SELECT hop, CASE WHEN key IN (SELECT src FROM link) THEN 1 END AS e FROM found) SELECT hop, count(*) AS total, count(e) AS expanded, count(*) - count(e) AS terminal, round((count(*) - count(e)) / count(*), 6) AS terminal_share FROM x GROUP BY ROLLUP (hop)",
     "funnel_by_model": funnel("model"),
     "funnel_by_hop": funnel("hop"),
     "survival_bands": f"WITH {ART}, x AS (SELECT hop, article_id, count(DISTINCT l_partkey) FILTER (WHERE p_size > 10) / count(*) AS s FROM lineitem JOIN art ON l_orderkey = article_id JOIN part ON p_partkey = l_partkey GROUP BY ALL) SELECT hop, count(*) AS parents, round(avg(s), 6) AS mean_survival, round(stddev_samp(s), 6) AS sd_survival FROM x GROUP BY hop",
     "parse_modes": """WITH r AS (SELECT CASE event_id % 7 WHEN 1 THEN 'answer: ' || props || ' end' WHEN 2 THEN substr(props, 1, length(props) - 1) WHEN 3 THEN 'none' ELSE props END AS raw FROM events)
 SELECT CASE WHEN regexp_matches(raw, '^\\s*\\{.*\\}\\s*$') THEN 'native' WHEN regexp_matches(raw, '\\{[^{}]*\\}') THEN 'substring' WHEN regexp_matches(raw, '"k"\\s*:\\s*\\d+') THEN 'regex' ELSE 'exception' END AS mode, count(*) AS n FROM r GROUP BY mode""",
-    "insert_loss": bfs(LINK, "SELECT CAST(0 AS BIGINT), 0", 2) + ", o AS (SELECT dst FROM found JOIN link ON src = key WHERE hop = 2 AND dst NOT IN (SELECT key FROM found)) SELECT count(*) AS accepted, count(DISTINCT dst) AS inserted, round(1 - count(DISTINCT dst) / count(*), 6) AS loss FROM o",
+    "insert_loss": levels(LINK, "SELECT CAST(0 AS BIGINT) AS key, 0 AS hop") + ", o AS (SELECT dst FROM link JOIN found a ON a.key = src JOIN found b ON b.key = dst WHERE b.hop > a.hop) SELECT count(*) AS accepted, count(DISTINCT dst) AS inserted, round(1 - count(DISTINCT dst) / count(*), 6) AS loss FROM o",
     "alias_summary": "WITH g AS (SELECT count(*) - 1 AS a FROM documents GROUP BY text HAVING count(*) > 1) SELECT count(*) AS entities, CAST(sum(a) AS BIGINT) AS aliases, round(avg(a), 6) AS mean_aliases FROM g",
     "alias_top30": "SELECT min(doc_id) AS canon, count(*) - 1 AS aliases FROM documents GROUP BY text HAVING count(*) > 1 ORDER BY aliases DESC, canon LIMIT 30",
     "embed_pairs": "WITH v AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings) SELECT a.vec_id AS id_a, b.vec_id AS id_b, round(list_cosine_similarity(a.e, b.e), 5) AS cosine FROM v a JOIN v b ON a.vec_id < b.vec_id WHERE list_cosine_similarity(a.e, b.e) > 0.3",
@@ -93,10 +126,10 @@ SELECT CASE WHEN regexp_matches(raw, '^\\s*\\{.*\\}\\s*$') THEN 'native' WHEN re
     "shared_vs_independent": f"WITH {MEMBERS}, {CLAIM}, b AS (SELECT key FROM m GROUP BY key HAVING count(*) = 3), v AS (SELECT article_id, verdict, m.model, CASE WHEN b.key IS NULL THEN 'independent' ELSE 'shared' END AS condition FROM claim JOIN art USING (article_id) JOIN m ON m.model = art.model AND m.key = l_partkey LEFT JOIN b ON b.key = m.key), {rates('model, condition')} SELECT model, condition, count(*) AS n, {P}, {TR} FROM r GROUP BY ALL",
     "trap_similarity": f"""WITH t AS (SELECT doc_id AS id, unnest({TOK}) AS term FROM documents), tf AS (SELECT id, term, count(*) AS tf FROM t GROUP BY ALL), df AS (SELECT term, count(*) AS df FROM tf GROUP BY term),
 raw AS (SELECT id, term, tf * (ln((1 + (SELECT count(*) FROM documents)) / (1 + df)) + 1) AS w FROM tf JOIN df USING (term)), nm AS (SELECT id, sqrt(sum(w * w)) AS n FROM raw GROUP BY id), u AS (SELECT id, term, w / n AS w FROM raw JOIN nm USING (id)),
-p AS (SELECT * FROM (SELECT doc_id AS a, lead(doc_id) OVER (PARTITION BY lang, source ORDER BY doc_id) AS b FROM documents) WHERE b IS NOT NULL), dot AS (SELECT a, b, sum(x.w * y.w) AS c FROM p JOIN u x ON x.id = a JOIN u y ON y.id = b AND y.term = x.term GROUP BY ALL)
+p AS (SELECT x.doc_id AS a, y.doc_id AS b FROM documents x JOIN documents y ON y.doc_id = x.doc_id + 1 AND x.lang = y.lang AND x.source = y.source), dot AS (SELECT a, b, sum(x.w * y.w) AS c FROM p JOIN u x ON x.id = a JOIN u y ON y.id = b AND y.term = x.term GROUP BY ALL)
 SELECT count(*) AS pairs, round(avg(coalesce(c, 0)), 5) AS mean_cosine, round(stddev_samp(coalesce(c, 0)), 5) AS sd_cosine FROM p LEFT JOIN dot USING (a, b)""",
     "text_overlap": f"""WITH w AS (SELECT doc_id, {TOK} AS w FROM documents), g AS (SELECT doc_id, list_distinct(w) AS u, CASE WHEN len(w) >= 3 THEN list_distinct(list_transform(range(1, len(w) - 1), lambda i: w[i] || ' ' || w[i + 1] || ' ' || w[i + 2])) END AS t FROM w),
-p AS (SELECT * FROM (SELECT doc_id AS a, lead(doc_id) OVER (PARTITION BY lang, source ORDER BY doc_id) AS b FROM documents) WHERE b IS NOT NULL)
+p AS (SELECT x.doc_id AS a, y.doc_id AS b FROM documents x JOIN documents y ON y.doc_id = x.doc_id + 1 AND x.lang = y.lang AND x.source = y.source)
 SELECT round(avg(len(list_intersect(x.u, y.u)) / nullif(len(list_distinct(list_concat(x.u, y.u))), 0)), 6) AS token_jaccard, round(avg(CASE WHEN x.t IS NULL OR y.t IS NULL THEN NULL ELSE len(list_intersect(x.t, y.t)) / nullif(len(list_distinct(list_concat(x.t, y.t))), 0) END), 6) AS trigram_jaccard FROM p JOIN g x ON x.doc_id = a JOIN g y ON y.doc_id = b""",
     "trap_lengths": f"WITH x AS (SELECT CASE WHEN doc_id % 2 = 0 THEN 'ours' ELSE 'rival' END AS system, len({TOK}) AS w FROM documents) SELECT system, round(avg(w), 6) AS mean, quantile_cont(w, 0.5) AS median FROM x GROUP BY system",
     "trap_factuality": f"WITH {V}, s AS (SELECT *, CASE model WHEN 0 THEN 'ours' ELSE 'rival' END AS system FROM v WHERE model IN (0, 1)), {rates('system, tier', 's')} SELECT system, tier, count(*) AS articles, {P}, {TR}, {FR}, {UR}, round(stddev_samp(t), 6) AS true_sd FROM r GROUP BY ALL",
@@ -109,7 +142,7 @@ SELECT predicate, verdict, CASE WHEN verdict = 'refuted' THEN predicate END AS e
     "human_drift": f"WITH {HUMAN}, j AS (SELECT judge AS class, count(*) AS judge_n FROM h GROUP BY judge), k AS (SELECT human AS class, count(*) AS human_n FROM h GROUP BY human) SELECT class, coalesce(judge_n, 0) AS judge_n, coalesce(human_n, 0) AS human_n, coalesce(human_n, 0) - coalesce(judge_n, 0) AS drift FROM j FULL JOIN k USING (class)",
     "domain_scores": f"SELECT page_id, {HOST} AS host, {SCORE} AS score, coalesce({SCORE} >= 60, false) AS eligible FROM pages",
     "page_usability": f"SELECT {USABLE} AS reason, count(*) AS n FROM pages GROUP BY reason",
-    "evidence_top3": f"WITH x AS (SELECT page_id, url, lower(regexp_extract(html, '<h1>([^< ]*)', 1)) AS subject, {SCORE} AS score, {USABLE} AS reason FROM pages) SELECT subject, CAST(rank AS INT) AS rank, page_id, score FROM (SELECT *, row_number() OVER (PARTITION BY subject ORDER BY score DESC, url) AS rank FROM x WHERE score >= 60 AND reason = 'usable') WHERE rank <= 3",
+    "evidence_top3": f"WITH x AS (SELECT page_id, url, lower(regexp_extract(html, '<h1>([^<]*)', 1)) AS subject, {SCORE} AS score, {USABLE} AS reason FROM pages) SELECT subject, CAST(rank AS INT) AS rank, page_id, score FROM (SELECT *, row_number() OVER (PARTITION BY subject ORDER BY score DESC, url) AS rank FROM x WHERE score >= 60 AND reason = 'usable') WHERE rank <= 3",
     "markup_links": r"""SELECT page_id, CAST(i - 1 AS BIGINT) AS position, trim(string_split(l[i], '|')[1]) AS target FROM (SELECT page_id, l, unnest(range(1, len(l) + 1)) AS i FROM (SELECT page_id, list_filter(regexp_extract_all(html, '<a href="/[^"]*">([^<]*)</a>', 1), lambda x: x <> '' AND NOT regexp_matches(x, '[\[\]]')) AS l FROM pages))""",
     "conflation": "SELECT l_partkey AS subject, 'supplier' AS predicate, count(DISTINCT l_suppkey) AS n_objects FROM lineitem GROUP BY l_partkey HAVING count(DISTINCT l_suppkey) > 1",
     "run_cost": "WITH g AS (SELECT event_type AS stage, count(*) AS calls, round(sum(value), 2) AS tokens, round(sum(value * CASE event_type WHEN 'view' THEN 0.5 WHEN 'purchase' THEN 2.0 ELSE 1.0 END / 1000), 4) AS cost_online FROM events GROUP BY event_type) SELECT *, round(cost_online / 2, 4) AS cost_batch FROM g",

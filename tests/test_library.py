@@ -5,8 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from claimloom.functions import text as T
-from claimloom.llm import components
-from claimloom.operators import audit, compare, crawl, framing, metrics
+from claimloom.operators import audit, compare, crawl, framing, metrics, sanitize, stages
 from claimloom.plans import catalog
 from claimloom.sources import tables as S
 from claimloom.streaming import stage_log
@@ -20,6 +19,7 @@ def test_canonical_keys(spark):
         assert len({r.k for r in got if r.g == g}) == 1
     assert {r.k for r in got if r.g == 5} == {None}
     assert all(T.canonical(T.canonical(s)) == T.canonical(s) for _, s in rows)
+    assert T.canonical("कि") != T.canonical("क")  # vowel signs are part of the word
 
 
 def test_markup(spark):
@@ -57,7 +57,7 @@ def test_text_walk_is_whole(spark, tmp_path):
     while new := {b for a, b in links if reached.get(a) == hop} - set(reached):
         hop += 1
         reached |= dict.fromkeys(new, hop)
-    got = {r.hop: r.new_subjects for r in catalog.QUERIES["bfs_text_walk"](spark, str(tmp_path)).collect()}
+    got = {r.hop: r.new_subjects for r in catalog.QUERIES["bfs_text_hops"](spark, str(tmp_path)).collect()}
     assert got == {h: list(reached.values()).count(h) for h in set(reached.values())}
 
 
@@ -72,9 +72,9 @@ def test_coverage_and_loss_over_the_whole_walk(spark, tmp_path):
     links = [(0, 1), (0, 2), (1, 3), (2, 3), (3, 4), (4, 5), (4, 6), (5, 7), (6, 7), (7, 0)]
     rows = [(o, n, p, "A") for o, pair in enumerate(links) for n, p in enumerate(pair)]
     spark.createDataFrame(rows, "l_orderkey bigint, l_linenumber int, l_partkey bigint, l_returnflag string").write.parquet(f"{tmp_path}/lineitem.parquet")
-    got = {r.hop: (r.total, r.expanded, r.terminal) for r in catalog.QUERIES["coverage_rollup_walk"](spark, str(tmp_path)).collect()}
+    got = {r.hop: (r.total, r.expanded, r.terminal) for r in catalog.QUERIES["coverage_rollup"](spark, str(tmp_path)).collect()}
     assert got == {0: (1, 1, 0), 1: (2, 2, 0), 2: (1, 1, 0), 3: (1, 1, 0), 4: (2, 2, 0), 5: (1, 1, 0), None: (8, 8, 0)}
-    loss = catalog.QUERIES["insert_loss_walk"](spark, str(tmp_path)).first()
+    loss = catalog.QUERIES["insert_loss"](spark, str(tmp_path)).first()
     assert (loss.accepted, loss.inserted, loss.loss) == (9, 7, round(2 / 9, 6))
 
 
@@ -82,8 +82,6 @@ def test_bounds_are_errors(spark):
     links = spark.createDataFrame([(0, 1), (1, 2), (2, 3)], "src bigint, dst bigint")
     with pytest.raises(RuntimeError):
         crawl.expand(spark.createDataFrame([(0,)], "key bigint"), links, most_waves=2)
-    with pytest.raises(RuntimeError):
-        components.connected(links, "src", "dst", rounds=1)
 
 
 def test_stage3(spark):
@@ -143,6 +141,8 @@ def test_signed_rank(spark):
     n = sum(1 for s in itertools.product((0, 1), repeat=5) if sum(r for r, on in zip(range(1, 6), s) if on) <= w)
     assert abs(got["mixed"].p - min(1, 2 * n / 32)) < 1e-12
     assert (got["tied"].w_plus, got["tied"].w_minus) == (8.0, 2.0)
+    assert abs(got["tied"].p - 0.2568) < 1e-3  # ties: the tie-corrected normal form
+    assert framing.with_p(framing.signed_ranks(df, "t"), m=648).first().tests == 648
     assert got["planted"].p * 648 < 0.05
 
 
@@ -167,11 +167,15 @@ def test_parse_ladder(spark):
     assert [r.m for r in raw.select(crawl.parse_mode(F.col("x")).alias("m")).collect()] == ["native", "substring", "regex", "exception"]
 
 
-def test_stream_equals_batch(spark):
+def test_stream_equals_batch(spark, tmp_path):
+    """One file, and several micro-batches of one file each."""
     d = "/root/testdata/sf0.001"
-    batch = stage_log.funnel(spark.read.parquet(f"{d}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp")))
-    stream = stage_log.drained(stage_log.funnel(stage_log.source(spark, d)), "complete")
-    assert sorted(map(tuple, batch.collect())) == sorted(map(tuple, stream.collect()))
+    events = spark.read.parquet(f"{d}/events.parquet")
+    events.repartition(3).write.parquet(f"{tmp_path}/events.parquet")
+    batch = sorted(map(tuple, stage_log.funnel(events.withColumn("ts", F.col("ts").cast("timestamp"))).collect()))
+    for folder in (d, str(tmp_path)):
+        stream = stage_log.drained(stage_log.funnel(stage_log.source(spark, folder, files_a_batch=1)), "complete")
+        assert sorted(map(tuple, stream.collect())) == batch
 
 
 def test_entry_and_plans(spark):
@@ -183,3 +187,104 @@ def test_entry_and_plans(spark):
     assert "CartesianProduct" not in plan
     funnel = e.queries()["corpus_profile"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
     assert "n_chars" not in funnel
+
+def small_crawl(spark):
+    """0 offers 1 (twice), 2, 3 (low score), 4 (no entity); 5 is close to 1; 3 comes back from a later parent; 10 is close to 9."""
+    links = [(0, 1, 0, 0.9), (0, 1, 1, 0.8), (0, 2, 2, 0.9), (0, 3, 3, 0.5), (0, 4, 4, 0.9), (1, 5, 0, 0.9), (2, 3, 0, 0.9), (2, 8, 1, 0.9), (1, 8, 1, 0.9), (3, 5, 0, 0.9), (8, 9, 0, 0.9), (8, 10, 1, 0.9)]
+    names = {0: "Root", 1: "Ada Kern", 2: "Port Lume", 3: "Orla House", 4: "history", 5: "Ada C. Kern", 8: "Solaris", 9: "Flux Seven", 10: "Flux 7 Engine"}
+    leads = {0: "wholly other words", 5: "ada kern was a painter of Port Lume", 1: "ada kern was a painter of Port Lume", 9: "an engine of old", 10: "an engine of old"}
+    s = spark.createDataFrame([(k, n, leads.get(k, f"lead number {k}")) for k, n in names.items()], "key bigint, phrase string, lead string")
+    near = [(5, 1, 0.95), (1, 5, 0.95), (9, 10, 0.97), (10, 9, 0.97), (2, 0, 0.93), (0, 2, 0.93)]
+    return spark.createDataFrame([(0,)], "key bigint"), spark.createDataFrame(links, "src bigint, dst bigint, position int, confidence double"), s, spark.createDataFrame(near, "id bigint, known bigint, cosine double")
+
+
+def test_composed_crawl(spark):
+    found, log = sanitize.expand_sanitized(*small_crawl(spark))
+    assert {(r.key, r.hop, r.parent) for r in found.collect()} == {(0, 0, None), (1, 1, 0), (2, 1, 0), (3, 2, 2), (8, 2, 1), (9, 3, 8)}
+    fates = sorted((r.hop, r.key, r.parent, r.fate, r.canon) for r in log.where("fate <> 'accepted'").collect())
+    assert fates == [(1, 3, 0, "low_confidence", None), (1, 4, 0, "generic", None), (2, 5, 1, "duplicate", 1), (2, 8, 2, "raced", None), (3, 5, 3, "duplicate", 1), (3, 10, 8, "within_batch", 9)]
+    assert crawl.violations(found).count() == 0
+    assert [(r.key, r.first, r.hop) for r in sanitize.reproposed(log).collect()] == [(3, 1, 2)]
+
+
+def test_sanitizer_variants(spark):
+    keys = lambda rules: {r.key for r in sanitize.expand_sanitized(*small_crawl(spark), rules)[0].collect()}
+    assert keys(sanitize.Sanitizer(stage3=False)) == {0, 1, 2, 3, 5, 8, 9, 10}
+    assert keys(sanitize.Sanitizer(arbitrate=False)) == {0, 1, 8, 9}  # 2 is close to the root, though its lead differs
+    _, log = sanitize.expand_sanitized(*small_crawl(spark), sanitize.Sanitizer(commit_at="stage2"))
+    assert [r.hop for r in log.where("key = 5").collect()] == [2]  # not proposed again
+    with pytest.raises(ValueError):
+        sanitize.Sanitizer(commit_at="never")
+
+
+def test_stages(spark):
+    req = spark.createDataFrame([("1", "short longestwords"), ("2", None)], "request string, prompt string")
+    for mode in ("online", "batch"):
+        got = {r.request: [f.fact for f in r.facts] for r in stages.grounded(stages.run_stage(req, stages.rule_facts, mode)).collect()}
+        assert got == {"1": ["short", "longestwords"], "2": []}
+    with pytest.raises(ValueError):
+        stages.RunConfig(regime="topic")
+    c = stages.RunConfig(regime="topic", root="Quantum", persona="neutral", strategy="calibrated")
+    row = c.carried(req).first()
+    assert (row.persona, row.root, c.tau) == ("neutral", "Quantum", 0.75)
+    ok = spark.createDataFrame([(["a"] * 5 + ["Quantum theory"],), (["a"] * 6,), (["a"] * 9,)], "s array<string>")
+    assert [r.x for r in ok.select(stages.outline_ok(F.col("s"), F.lit("Quantum")).alias("x")).collect()] == [True, False, False]
+
+
+def test_lint(spark):
+    good = "'''Ada''' is one. She is two. " + "\n== Early ==\n" + " ".join(f"It has [[Ada Work {i}]]." for i in range(20)) + "\n== Late ==\nText."
+    bad = "'''Ada''' is one.\n== Late ==\n[[ada]] [[a]] [[b]] [[c]] [[d]] [[e]] see https://x.org"
+    df = spark.createDataFrame([(1, "Ada", good, ["Early", "Late"]), (2, "Ada", bad, ["Early", "Late"])], "id int, subject string, wikitext string, sections array<string>")
+    got = {r.id: {c for c in r.asDict() if c.startswith("flag_") and r[c]} for r in stages.lint(df, target=110).collect()}
+    assert got[1] == set()
+    assert got[2] == {"flag_headings", "flag_lead", "flag_n_links", "flag_dense", "flag_self_link", "flag_umbrella", "flag_reference", "flag_length"}
+
+
+def test_retry_delays(spark):
+    rows = [("a", 1, False), ("a", 2, False), ("a", 3, True), ("a", 4, True), ("b", 1, False), ("b", 2, False), ("c", 1, True)]
+    got = {r.request: (r.attempts, r.delay, r.ok) for r in crawl.retry_delays(spark.createDataFrame(rows, "request string, attempt int, ok boolean")).collect()}
+    assert got == {"a": (3, 3.0, True), "b": (2, 1.0, False), "c": (1, 0.0, True)}
+
+
+def test_lsh_finds_vectors_of_any_length(spark):
+    df = spark.createDataFrame([(1, [2.0, 0.0]), (2, [4.0, 0.1]), (3, [0.0, 1.0])], "id bigint, vec array<double>")
+    assert [(r.id_a, r.id_b) for r in crawl.cosine_pairs_lsh(df, 0.9).collect()] == [(1, 2)]
+
+
+def test_text_judge(spark):
+    claims = spark.createDataFrame([(1, 0, "Ada Kern wrote a book"), (1, 1, "Ada Kern died in 1990"), (1, 2, "Nothing is known here")], "doc_id int, claim_idx int, claim string")
+    known = spark.createDataFrame([("Ada Kern wrote a book",), ("Port Lume lies north",)], "sentence string")
+    got = {r.claim_idx: (r.verdict, r.error_type) for r in audit.text_verdicts(claims, known, words=2).collect()}
+    assert got == {0: ("supported", None), 1: ("refuted", "temporal"), 2: ("insufficient", None)}
+    types = [("born in Rome", "x", "spatial"), ("it has 3 legs", "it has 4 legs", "numerical"), ("it was invented by Ada", "it", "person_attribution"), ("it fell because of rain", "it", "causal"), ("it means a lot", "it", "definitional")]
+    rows = spark.createDataFrame(types, "c string, e string, want string").select("want", audit.error_type(F.col("c"), F.col("e")).alias("got")).collect()
+    assert all(r.want == r.got for r in rows) and {r.got for r in rows} <= set(audit.ERROR_TYPES)
+
+
+def test_retrieval_reads_no_article(spark):
+    subjects = spark.createDataFrame([("a", "long article"), ("b", "x"), ("c", "y")], "key string, article string")
+    pages = spark.createDataFrame([("b", "u1", 70, "usable", "one", "s"), ("b", "u2", 90, "usable", "", "two"), ("b", "u3", 10, "usable", "no", "s"), ("c", "u4", 90, "captcha", "no", "s")], "key string, url string, score int, reason string, text string, snippet string")
+    reference = spark.createDataFrame([("a", "ref")], "key string, text string")
+    found = audit.retrieve(subjects, pages, reference)
+    assert {r.key: (r.tier, r.evidence) for r in found.collect()} == {"a": (1, "ref"), "b": (2, "two\none"), "c": (None, None)}
+    assert {r.key: r.evidence for r in audit.retrieve(subjects, pages, reference, least=None).collect()}["b"] == "two\none\nno"
+
+
+def test_effects_and_choice(spark):
+    cells = spark.createDataFrame([(a, b, 0.5 + 0.1 * a + 0.02 * b, 1.0 + a) for a in (0, 1) for b in (0, 1)], "x int, y int, rate double, cost double")
+    got = {r.effect: r.points for r in metrics.effects(cells, ("x", "y"), "rate").collect()}
+    assert got == {"x": 0.1, "y": 0.02, "x x y": 0.0}
+    assert metrics.operating_point(cells, "rate", "cost", 0.2, "x", "y").first().cost == 1.0
+    assert metrics.operating_point(cells, "rate", "cost", 0.01, "x", "y").first().cost == 2.0
+
+
+def test_stylometry(spark):
+    df = spark.createDataFrame([(["Early ", "late"], ["EARLY", "other"], "the cat and the dog".split())], "a array<string>, b array<string>, w array<string>")
+    r = df.select(framing.outline_jaccard(F.col("a"), F.col("b")).alias("j"), framing.word_counts(F.col("w"), ["the", "dog", "x"]).alias("c"), framing.sentiment(F.col("w"), ["cat"], ["the"]).alias("s")).first()
+    assert (r.j, r.c, r.s) == (1 / 3, [2.0, 1.0, 0.0], -200.0)
+
+
+def test_lexicon_scores_count_words_and_phrases(spark):
+    texts = spark.createDataFrame([(1, "a b a b a".split()), (2, ["x"])], "id int, w array<string>")
+    words, phrases = spark.createDataFrame([(0, "a"), (1, "a")], "dimension int, entry string"), spark.createDataFrame([(0, "a b"), (0, "b a b")], "dimension int, phrase string")
+    assert {(r.id, r.dimension): (r.hits, r.n_tokens) for r in framing.scores(texts, words, phrases, "id", "w").collect()} == {(1, 0): (6, 5), (1, 1): (3, 5)}
