@@ -81,6 +81,8 @@ PRIMARY_P = with_p("0, 1, 2", "'BUILDING', 'FURNITURE', 'MACHINERY'", 24, 648)
 
 
 ORACLES = {
+    "embed_lsh_recall": "WITH v AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings) SELECT count(*) AS pairs, true AS enough FROM v a JOIN v b ON a.vec_id < b.vec_id WHERE list_cosine_similarity(a.e, b.e) > 0.3",
+    "reject_reasons_stage2": r"SELECT reason, count(*) AS n, round(count(*) / sum(count(*)) OVER () + 1e-9, 6) AS share FROM (SELECT CASE WHEN regexp_matches(x, '(?i)^https?://|\.(com|org|net)$') THEN 'url' WHEN regexp_matches(x, '^[\d.,\s%-]+$') THEN 'number_or_date' WHEN lower(x) IN ('history', 'culture', 'science', 'people', 'language', 'music', 'art', 'war', 'city', 'country', 'year', 'author', 'member', 'system') THEN 'generic' WHEN len(string_split_regex(x, '\s+')) > 8 THEN 'too_long' WHEN length(x) < 2 THEN 'too_short' ELSE 'accepted' END AS reason FROM (SELECT unnest(string_split(text, chr(10))) AS x FROM documents)) GROUP BY reason",
     "user_sessions": "WITH x AS (SELECT user_id, CASE WHEN lag(ts) OVER w IS NULL OR ts - lag(ts) OVER w >= INTERVAL 30 MINUTE THEN 1 ELSE 0 END AS first, ts FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), y AS (SELECT user_id, sum(first) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM x), z AS (SELECT user_id, k, count(*) AS n FROM y GROUP BY ALL) SELECT count(DISTINCT user_id) AS users, count(*) AS sessions, CAST(sum(n) AS BIGINT) AS events, max(n) AS longest FROM z",
     "late_events": "SELECT event_type, count(*) AS n, CAST(sum(CAST(coalesce(ts < ahead - INTERVAL 1 HOUR, false) AS INT)) AS BIGINT) AS late FROM (SELECT *, max(ts) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS ahead FROM events) GROUP BY event_type",
     "as_of_price": "WITH p AS (SELECT user_id, ts, max(value) AS value FROM events WHERE event_type = 'purchase' GROUP BY ALL) SELECT count(*) AS clicks, count(p.value) AS priced, round(sum(p.value), 2) AS total FROM (SELECT * FROM events WHERE event_type = 'click') c ASOF LEFT JOIN p ON c.user_id = p.user_id AND c.ts >= p.ts",
