@@ -1,6 +1,7 @@
 import itertools
 import random
 
+import duckdb
 import pytest
 from pyspark.sql import functions as F
 
@@ -217,6 +218,20 @@ def test_sanitizer_variants(spark):
         sanitize.Sanitizer(commit_at="never")
 
 
+def test_crawl_takes_equal_surfaces(spark, tmp_path):
+    """A link to another part of the same name and brand is no loop: query and SQL agree on every hop."""
+    part = [(k, name, "b", "t", 20) for k, name in enumerate(["one", "one", "two"])]
+    spark.createDataFrame(part, "p_partkey bigint, p_name string, p_brand string, p_type string, p_size int").write.parquet(f"{tmp_path}/part.parquet")
+    line = [(1, 1, 0), (1, 2, 1), (2, 1, 1), (2, 2, 2)]
+    spark.createDataFrame([(o, n, k, "A") for o, n, k in line], "l_orderkey bigint, l_linenumber int, l_partkey bigint, l_returnflag string").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame([(k, [float(i == k) for i in range(3)]) for k in range(3)], "vec_id bigint, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    duck = duckdb.connect()
+    for t in ("part", "lineitem", "embeddings"):
+        duck.execute(f"CREATE VIEW {t} AS SELECT * FROM '{tmp_path}/{t}.parquet/*.parquet'")
+    got = sorted(map(tuple, catalog.QUERIES["crawl_sanitized"](spark, str(tmp_path)).collect()))
+    assert got == sorted(duck.execute(catalog.ORACLES["crawl_sanitized"]).fetchall()) == [(0, 1, 0), (1, 1, 1), (2, 1, 2)]
+
+
 def test_stages(spark):
     req = spark.createDataFrame([("1", "short longestwords"), ("2", None)], "request string, prompt string")
     for mode in ("online", "batch"):
