@@ -232,6 +232,12 @@ def test_crawl_takes_equal_surfaces(spark, tmp_path):
     assert got == sorted(duck.execute(catalog.ORACLES["crawl_sanitized"]).fetchall()) == [(0, 1, 0), (1, 1, 1), (2, 1, 2)]
 
 
+def test_condition_drop_without_a_condition(spark):
+    rates = spark.createDataFrame([(0, "b", 0.5), (1, "b", 0.4), (2, "a", 0.3)], "model int, condition string, precision double")
+    got = metrics.condition_drop(rates, "model", "condition", "precision", "a", "b")
+    assert sorted((r.model, r.rank_first, r.rank_second, r.drop, r.stable) for r in got.collect()) == [(0, 1, 1, None, True), (1, 1, 2, None, False), (2, 1, 1, None, True)]
+
+
 def test_stages(spark):
     req = spark.createDataFrame([("1", "short longestwords"), ("2", None)], "request string, prompt string")
     for mode in ("online", "batch"):
