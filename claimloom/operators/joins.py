@@ -32,7 +32,10 @@ def band(left: DataFrame, right: DataFrame, key: str, at: str, low: str, high: s
 
 
 def salted(left: DataFrame, right: DataFrame, key: str, salts: int, by: str) -> DataFrame:
-    """Equi-join on key where left's rows of a hot key are dealt over salts tasks by the hash of column by; right's rows are copied to each."""
+    """Equi-join on key where left's rows of a hot key are dealt over salts tasks by the hash of column by; right's rows are copied to each.
+
+    A sort-merge join: the copies of right, which Spark's size estimate leaves out, are not to be broadcast.
+    """
     a = left.withColumn("_salt", F.pmod(F.xxhash64(by), F.lit(salts)).cast("int"))
     b = right.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-    return a.join(b, [key, "_salt"]).drop("_salt")
+    return a.join(b.hint("merge"), [key, "_salt"]).drop("_salt")

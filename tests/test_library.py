@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from claimloom.functions import text as T
-from claimloom.operators import audit, compare, crawl, framing, metrics, sanitize, stages
+from claimloom.operators import audit, compare, crawl, framing, joins, metrics, sanitize, stages
 from claimloom.plans import catalog
 from claimloom.sources import tables as S
 from claimloom.streaming import stage_log
@@ -238,6 +238,13 @@ def test_condition_drop_without_a_condition(spark):
     assert sorted((r.model, r.rank_first, r.rank_second, r.drop, r.stable) for r in got.collect()) == [(0, 1, 1, None, True), (1, 1, 2, None, False), (2, 1, 1, None, True)]
 
 
+def test_salted_join_is_not_broadcast(spark):
+    left, right = spark.range(100).select((F.col("id") % 3).alias("k"), "id"), spark.range(3).select(F.col("id").alias("k"), F.lit("x").alias("v"))
+    out = joins.salted(left, right, "k", 8, "id")
+    assert "Broadcast" not in out._jdf.queryExecution().executedPlan().toString()
+    assert sorted(map(tuple, out.select("k", "id", "v").collect())) == sorted((i % 3, i, "x") for i in range(100))
+
+
 def test_stages(spark):
     req = spark.createDataFrame([("1", "short longestwords"), ("2", None)], "request string, prompt string")
     for mode in ("online", "batch"):
