@@ -245,6 +245,15 @@ def test_salted_join_is_not_broadcast(spark):
     assert sorted(map(tuple, out.select("k", "id", "v").collect())) == sorted((i % 3, i, "x") for i in range(100))
 
 
+def test_evidence_top3_settles_equal_urls(spark, tmp_path):
+    html = f"<h1>One</h1><p>{'long enough ' * 30}</p>"
+    for n, ids in enumerate([range(9, -1, -1), range(10, 20)]):
+        pages = spark.createDataFrame([(i, "https://a.example.com/x", html) for i in ids], "page_id bigint, url string, html string")
+        pages.coalesce(1).write.parquet(f"{tmp_path}/{n}/pages.parquet")
+        got = [(r.rank, r.page_id) for r in catalog.QUERIES["evidence_top3"](spark, f"{tmp_path}/{n}").orderBy("rank").collect()]
+        assert got == [(k + 1, min(ids) + k) for k in range(3)]
+
+
 def test_stages(spark):
     req = spark.createDataFrame([("1", "short longestwords"), ("2", None)], "request string, prompt string")
     for mode in ("online", "batch"):
