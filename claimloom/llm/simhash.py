@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .base import as_bytes, forget, small_batches, table, written
+from .base import as_bytes, forget, small_batches, table, unsent, written
 from .components import connected
 
 HOT = 256
@@ -81,7 +81,7 @@ def links(fps: DataFrame, hot: int = HOT) -> DataFrame:
     )
     index = _spread(fps, 64).select("fp", F.explode(variant).alias("key"))
     shared = index.groupBy("key").agg(F.count(F.lit(1)).alias("members")).where("members > 1")
-    found = written(index.join(shared, "key"), "variants")
+    found = written(index.join(unsent(shared), "key"), "variants")
     cool, hot_fps = found.where(F.col("members") <= hot).select("key", "fp"), found.where(F.col("members") > hot).select("fp").distinct()
     a, b = cool.select("key", F.col("fp").alias("a")), cool.select(F.col("key").alias("same"), F.col("fp").alias("b"))
     (ah, al), (bh, bl) = _segments(F.col("a")), _segments(F.col("b"))
@@ -91,7 +91,7 @@ def links(fps: DataFrame, hot: int = HOT) -> DataFrame:
     at = F.call_function("shiftleft", F.lit(1).cast("bigint"), slot % 32)
     first = ((own == 0) & (slot % 32 == 0)) | (own == at)
     once = (slot < 32) | (F.bit_count(dh) > 1)
-    pairs = a.join(b, (F.col("key") == F.col("same")) & (F.col("a") < F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= 2) & first & once).select("a", "b")
+    pairs = a.join(unsent(b), (F.col("key") == F.col("same")) & (F.col("a") < F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= 2) & first & once).select("a", "b")
     two = F.explode(F.flatten(F.transform(F.sequence(F.lit(1), F.lit(63)), lambda i: F.transform(F.sequence(F.lit(0), i - 1), lambda j: F.struct(i.alias("i"), j.alias("j"))))))
     hot_index = _spread(hot_fps, 2016).select("fp", two.alias("p")).select(
         "fp", F.col("p.i").alias("i"), F.col("p.j").alias("j"), F.expr("fp & ~(shiftleft(1L, p.i) | shiftleft(1L, p.j))").alias("rest")
@@ -107,14 +107,15 @@ def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", wi
     """key, fingerprint (16 hexadecimal digits) and component_id (smallest key reachable over links) of every row."""
     rows = written(fingerprints(docs, text, key, width), "fingerprints")
     heads = written(rows.groupBy("fp").agg(F.min(key).alias("head")), "heads")
+    n = heads.count()
     edges = links(heads.select("fp"))
     roots = connected(edges, "a", "b")
     forget(edges)
-    named = heads.join(roots, heads["fp"] == roots["node"], "left").select("fp", "head", F.coalesce("root", "fp").alias("root"))
+    named = heads.join(unsent(roots, n), F.col("fp") == F.col("node"), "left").select("fp", "head", F.coalesce("root", "fp").alias("root"))
     least = named.groupBy("root").agg(F.min("head").alias("component_id"))
-    by_fp = written(named.join(least, "root").select("fp", "component_id"), "components")  # of known size: broadcast if small
+    by_fp = written(named.join(unsent(least, n), "root").select("fp", "component_id"), "components")
     forget(heads)
-    return rows.join(by_fp, "fp").select(key, F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    return rows.join(unsent(by_fp, n), "fp").select(key, F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
 def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

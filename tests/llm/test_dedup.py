@@ -115,3 +115,11 @@ def test_unsettled_components_are_an_error(spark):
     links = spark.createDataFrame([(0, 1), (1, 2), (2, 3)], "src bigint, dst bigint")
     with pytest.raises(RuntimeError):
         connected(links, "src", "dst", rounds=1)
+
+
+def test_simhash_broadcasts_no_uncounted_table(spark, monkeypatch):
+    plans, keep = [], simhash.written
+    monkeypatch.setattr(simhash, "written", lambda df, name: plans.append((name, df._jdf.queryExecution().executedPlan().toString())) or keep(df, name))
+    fps = spark.createDataFrame([(0,), (1,), (3,), (1 << 40,)], "fp bigint")
+    assert {(min(r.a, r.b), max(r.a, r.b)) for r in simhash.links(fps).collect()} >= {(0, 1), (0, 3), (0, 1 << 40)}
+    assert {name for name, _ in plans} == {"variants", "links"} and not [name for name, plan in plans if "Broadcast" in plan]
