@@ -34,3 +34,10 @@ def test_wordless_documents_are_one_group(spark):
     rows = [(1, "one two three four five six"), (2, ""), (3, None), (4, " \n\t"), (5, "quite another text of other words"), (None, "")]
     docs = spark.createDataFrame(rows, "doc_id bigint, text string")
     assert sorted(str(r.doc_id) for r in corpus_pipeline.near_duplicate_stage(spark, docs, SF).collect()) == ["1", "2", "5", "None"]
+
+
+def test_kept_groups_are_not_broadcast(spark):
+    docs = spark.createDataFrame([(k, f"text number {k} of a few") for k in range(4)], "doc_id bigint, text string")
+    plan = corpus_pipeline.near_duplicate_stage(spark, docs, SF)._jdf.queryExecution().executedPlan().toString()
+    semi = [line for line in plan.split("\n") if "LeftSemi" in line]
+    assert semi and all("SortMergeJoin" in line for line in semi)
