@@ -3,6 +3,7 @@ import random
 
 import duckdb
 import pytest
+import numpy as np
 from pyspark.sql import functions as F
 
 from claimloom.functions import text as T
@@ -288,6 +289,20 @@ def test_lsh_finds_vectors_of_any_length(spark):
     assert [(r.id_a, r.id_b) for r in crawl.cosine_pairs_lsh(df, 0.9).collect()] == [(1, 2)]
 
 
+def test_lsh_recall_counts_what_the_joins_give(spark):
+    """Blocks and tiles of any size; copies are pairs, and no pair is written as a row."""
+    rng = np.random.default_rng(4)
+    rows = [(i, [float(x) for x in v]) for i, v in enumerate(rng.normal(size=(150, 6)))]
+    rows += [(200, rows[0][1]), (201, rows[0][1])]
+    df = spark.createDataFrame(rows, "id bigint, vec array<double>")
+    exact = {(r.id_a, r.id_b) for r in crawl.cosine_pairs(df, 0.6).collect()}
+    near = {(r.id_a, r.id_b) for r in crawl.cosine_pairs_lsh(df, 0.6, tables=2, bucket=0.4).collect()}
+    assert near < exact
+    for block, tile in ((16384, 512), (40, 7)):
+        got = crawl.lsh_recall(df, 0.6, tables=2, bucket=0.4, block=block, tile=tile).first()
+        assert (got.pairs, got.found) == (len(exact), len(near))
+
+
 def test_text_judge(spark):
     claims = spark.createDataFrame([(1, 0, "Ada Kern wrote a book"), (1, 1, "Ada Kern died in 1990"), (1, 2, "Nothing is known here")], "doc_id int, claim_idx int, claim string")
     known = spark.createDataFrame([("Ada Kern wrote a book",), ("Port Lume lies north",)], "sentence string")
