@@ -10,14 +10,15 @@ they are a segment. Five steps, each a group of bounded size:
 4. a shard decides each window (suffix automaton, suffix arrays: the operator's method) and answers the chunks;
 5. a chunk turns the answers into spans.
 
-Owners that very many chunks hold would fill one shard: their windows are sent one by one to the shard of the window's
-own hash, and a chunk sends equal windows once. All steps recompute the same from a chunk's rows, so lost executors
-cost only their tasks. What is sent is packed and compressed; documents are dealt once and that exchange is reused.
+Owners that very many chunks hold would fill one shard: their windows get owners anew, by longer hashes, and go in
+shorter segments to the shards of those. All steps recompute the same from a chunk's rows, so lost executors
+cost only their tasks. What is sent is packed and compressed, documents too; they are dealt once and that exchange is reused.
+A message is what one chunk sends to one shard. Beyond VOLUME chunks and shards grow, so that messages keep their size.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -25,11 +26,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import as_bytes, safe_slices, text_volume
+from .base import as_bytes, safe_slices, small_batches, text_volume
 from .rolling import mix, windows
 
 CHUNK_BYTES = 4 << 20
 LARGEST_CHUNK = 64 << 20
+LARGEST_SHARD = 3 << 20
+VOLUME = 2 << 30
 BUCKET_ENTRIES = 1 << 20
 SHARD_BYTES = 3 << 20
 HOT_CHUNKS = 1000
@@ -166,6 +169,43 @@ def _paired(step: Callable[[pa.Table, pa.Table], pa.Table]) -> Callable[[pa.Tabl
     return run
 
 
+_DEALT = pa.schema([("chunk", pa.int64()), ("n", pa.int64()), ("size", pa.int64()), ("payload", pa.binary())])
+_DEALT_SQL = "chunk bigint, n bigint, size bigint, payload binary"
+
+
+def _dealt(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (chunk, key, text) of a batch as one packed row for each chunk: its keys, which of them are null, lengths and texts."""
+    for batch in small_batches(batches, "_text", 16 << 20):
+        chunk = batch.column(0).to_numpy(zero_copy_only=False)
+        keys = batch.column(1)
+        null = keys.is_null().to_numpy(zero_copy_only=False).astype(np.uint8)
+        keys = pa.compute.fill_null(keys, 0).to_numpy(zero_copy_only=False)
+        texts = as_bytes(batch.column(2))
+        order = np.argsort(chunk, kind="stable")
+        rows = []
+        for at in np.split(order, np.flatnonzero(np.diff(chunk[order])) + 1):
+            if len(at):
+                own = [texts[i] for i in at.tolist()]
+                lens = np.fromiter(map(len, own), np.int64, len(own))
+                rows.append(dict(zip(_DEALT.names, (int(chunk[at[0]]), len(at), *_pack(keys[at], null[at], lens, b"".join(own))))))
+        yield from pa.Table.from_pylist(rows, _DEALT).to_batches()
+        del keys, texts, rows
+        _give_back()
+
+
+def _undealt(table: pa.Table) -> tuple[list[int | None], list[bytes]]:
+    keys, texts = [], []
+    for row in table.to_pylist():
+        raw, n = _unpack(row), row["n"]
+        null = np.frombuffer(raw, np.uint8, n, 8 * n).tolist()
+        keys += [None if x else k for k, x in zip(np.frombuffer(raw, np.int64, n).tolist(), null)]
+        start = 17 * n
+        for size in np.frombuffer(raw, np.int64, n, 9 * n).tolist():
+            texts.append(raw[start : start + size])
+            start += size
+    return keys, texts
+
+
 _SENT = pa.schema([("dest", pa.int64()), ("chunk", pa.int64()), ("first", pa.int64()), ("n", pa.int64()), ("size", pa.int64()), ("payload", pa.binary())])
 _SENT_SQL = "dest bigint, chunk bigint, first bigint, n bigint, size bigint, payload binary"
 
@@ -174,8 +214,7 @@ class _Chunk:
     """A chunk's documents in a fixed order, with their symbols and segments."""
 
     def __init__(self, table: pa.Table, how: Repeats):
-        keys = table.column(1).to_pylist()
-        texts = as_bytes(table.column(2))
+        keys, texts = _undealt(table)
         orders = [LAST if x is None else x for x in keys]
         self.at = sorted(range(len(texts)), key=lambda i: (orders[i], texts[i]))
         self.keys = [keys[i] for i in self.at]
@@ -204,6 +243,15 @@ def _buckets(n_symbols: int, how: Repeats) -> int:
     return max(1, -(-2 * n_symbols // ((how.length - how.k + 2) * how.bucket_entries)))
 
 
+def _sizes(volume: int, how: Repeats) -> tuple[int, int]:
+    """Bytes of a chunk and of a shard: as given up to VOLUME, then their product grows with the volume."""
+    more = max(1.0, volume / VOLUME)
+    return (
+        min(int(how.chunk_bytes * more ** (1 / 3)), max(LARGEST_CHUNK, how.chunk_bytes)),
+        min(int(how.shard_bytes * more ** (2 / 3)), max(LARGEST_SHARD, how.shard_bytes)),
+    )
+
+
 def spans(docs: DataFrame, how: Repeats, text: str = "text", key: str = "doc_id") -> DataFrame:
     """key, n (symbols), spans (maximal removed runs, half-open, in symbols) and kept (the rest as bytes) of every row.
 
@@ -211,10 +259,10 @@ def spans(docs: DataFrame, how: Repeats, text: str = "text", key: str = "doc_id"
     rows are rows of their own. The key is a bigint; other columns are not read.
     """
     _, volume = text_volume(docs, text)
-    chunk_bytes = min(max(how.chunk_bytes, volume >> 14), max(LARGEST_CHUNK, how.chunk_bytes))
-    chunks, shards = max(1, -(-volume // chunk_bytes)), max(1, -(-volume // how.shard_bytes))
+    chunk_bytes, shard_bytes = _sizes(volume, how)
+    chunks, shards = max(1, -(-volume // chunk_bytes)), max(1, -(-volume // shard_bytes))
     buckets = _buckets(volume // (6 if how.words else 1), how)
-    dealt = docs.select(F.pmod(F.xxhash64(key, text), F.lit(chunks)).alias("chunk"), F.col(key).cast("bigint").alias("_key"), F.col(text).alias("_text"))
+    dealt = docs.select(F.pmod(F.xxhash64(key, text), F.lit(chunks)).alias("chunk"), F.col(key).cast("bigint").alias("_key"), F.col(text).alias("_text")).mapInArrow(_dealt, _DEALT_SQL)
 
     def ask(table: pa.Table) -> pa.Table:
         c = _Chunk(table, how)
@@ -257,15 +305,18 @@ def spans(docs: DataFrame, how: Repeats, text: str = "text", key: str = "doc_id"
         chosen = np.flatnonzero(taken[inverse])
         route, is_hot = c.hash[chosen], hot[inverse[chosen]]
         doc, first, count = c.doc[chosen], c.first[chosen], c.count[chosen]
-        if is_hot.any():  # their windows travel alone
-            each = np.where(is_hot, count, 1)
-            rank = np.arange(each.sum()) - np.repeat(np.cumsum(each) - each, each)
-            alone = np.repeat(is_hot, each)
-            route, doc, first = np.repeat(route, each), np.repeat(doc, each), np.repeat(first, each) + rank
-            count = np.where(alone, 1, np.repeat(count, each))
-            for d in np.unique(doc[alone]).tolist():
-                at = np.flatnonzero(alone & (doc == d))
-                route[at] = windows(c.symbols(d, c.bounds(d)), how.length)[first[at]]
+        if is_hot.any():  # their windows travel in segments of longer owners
+            parts = [(route[~is_hot], doc[~is_hot], first[~is_hot], count[~is_hot])]
+            for d in np.unique(doc[is_hot]).tolist():
+                at = np.flatnonzero(is_hot & (doc == d))
+                h, starts, _ = owners(c.symbols(d, c.bounds(d)), how.length, how.length - (how.length - how.k) // 3)
+                w = np.repeat(first[at] - (np.cumsum(count[at]) - count[at]), count[at]) + np.arange(count[at].sum())
+                own = np.searchsorted(starts, w, side="right") - 1
+                cut = np.flatnonzero(np.concatenate([[True], (np.diff(own) != 0) | (np.diff(w) != 1)]))
+                parts.append((h[own[cut]], np.full(len(cut), d), w[cut], np.diff(np.append(cut, len(w)))))
+            route, doc, first, count = (np.concatenate(x) for x in zip(*parts))
+            line = np.lexsort((first, doc))
+            route, doc, first, count = route[line], doc[line], first[line], count[line]
         known: dict[bytes, int] = {}
         ids = np.empty(len(doc), np.int64)
         bodies: list[bytes] = []
@@ -294,7 +345,9 @@ def spans(docs: DataFrame, how: Repeats, text: str = "text", key: str = "doc_id"
         some[ids] = np.arange(len(ids))
         route, own_count = route[some] if n else np.empty(0, np.uint64), count[some] if n else np.empty(0, np.int64)
         shard = _scaled(route, shards)
-        order = np.argsort(shard, kind="stable")
+        order = np.argsort(route, kind="stable")  # shards come in the order of their hashes
+        # Inside a shard the next 16 bits tell owners apart well enough: owners that share them only share a group.
+        inside = (((route >> _U(32)) * _U(shards) & _U(0xFFFFFFFF)) >> _U(16)).astype(np.uint16)
         place = np.empty(n, np.int64)
         place[order] = np.arange(n)
         cuts = np.searchsorted(shard[order], np.arange(shards + 1))
@@ -303,9 +356,10 @@ def spans(docs: DataFrame, how: Repeats, text: str = "text", key: str = "doc_id"
             pick = order[cuts[s] : cuts[s + 1]]
             texts = [bodies[i] for i in pick.tolist()]
             lens = np.fromiter(map(len, texts), np.uint32, len(texts))
-            out.append((s, me, int(cuts[s]), len(texts), *_pack(route[pick], weight[pick], own_count[pick].astype(np.uint32), lens, b"".join(texts))))
+            out.append((s, me, int(cuts[s]), len(texts), *_pack(weight[pick], own_count[pick].astype(np.uint32), lens, inside[pick], b"".join(texts))))
         if len(ids):
-            out.append((-1 - me, me, n, len(ids), *_pack(place[ids].astype(np.uint32), doc.astype(np.uint32), first.astype(np.int64), count.astype(np.uint32), own_count[order].astype(np.uint32), weight[order])))
+            gap = first - np.append(0, (first + count)[:-1])  # mostly none: neighbours
+            out.append((-1 - me, me, n, len(ids), *_pack(gap.astype(np.int64), place[ids].astype(np.uint32), doc.astype(np.uint32), count.astype(np.uint32))))
         return pa.Table.from_pylist([dict(zip(_SENT.names, r)) for r in out], _SENT)
 
     def settle(table: pa.Table) -> pa.Table:
@@ -316,11 +370,11 @@ def spans(docs: DataFrame, how: Repeats, text: str = "text", key: str = "doc_id"
         routes, weights, counts, ids, bodies = [], [], [], [], []
         for r in rows:
             raw, n = _unpack(r), r["n"]
-            routes.append(np.frombuffer(raw, np.uint64, n))
-            weights.append(np.frombuffer(raw, np.int64, n, 8 * n))
-            counts.append(np.frombuffer(raw, np.uint32, n, 16 * n).astype(np.int64))
-            ends = np.cumsum(np.frombuffer(raw, np.uint32, n, 20 * n).astype(np.int64)) + 24 * n
-            own, start = [], 24 * n
+            weights.append(np.frombuffer(raw, np.int64, n))
+            counts.append(np.frombuffer(raw, np.uint32, n, 8 * n).astype(np.int64))
+            routes.append(np.frombuffer(raw, np.uint16, n, 16 * n))
+            ends = np.cumsum(np.frombuffer(raw, np.uint32, n, 12 * n).astype(np.int64)) + 18 * n
+            own, start = [], 18 * n
             for end in ends.tolist():
                 body = raw[start:end]
                 start = end
@@ -352,12 +406,13 @@ def spans(docs: DataFrame, how: Repeats, text: str = "text", key: str = "doc_id"
         home = [r for r in rows if r["dest"] < 0]
         if home:
             raw, n, m = _unpack(home[0]), home[0]["n"], home[0]["first"]
-            ids = np.frombuffer(raw, np.uint32, n).astype(np.int64)
-            doc = np.frombuffer(raw, np.uint32, n, 4 * n).astype(np.int64)
-            first = np.frombuffer(raw, np.int64, n, 8 * n)
+            ids = np.frombuffer(raw, np.uint32, n, 8 * n).astype(np.int64)
+            doc = np.frombuffer(raw, np.uint32, n, 12 * n).astype(np.int64)
             count = np.frombuffer(raw, np.uint32, n, 16 * n).astype(np.int64)
-            own_count = np.frombuffer(raw, np.uint32, m, 20 * n).astype(np.int64)
-            weight = np.frombuffer(raw[20 * n + 4 * m :], np.int64, m)
+            first = np.cumsum(np.frombuffer(raw, np.int64, n) + count) - count
+            own_count, weight = np.empty(m, np.int64), np.full(m, LAST, np.int64)
+            own_count[ids] = count
+            np.minimum.at(weight, ids, c.orders[doc])
             begin = np.concatenate([[0], np.cumsum(own_count)])
             bits = np.zeros(begin[-1], bool)
             for r in rows:

@@ -3,6 +3,7 @@ import random
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from claimloom.llm import repeats, substring_dedup, suffix_dedup
@@ -106,3 +107,52 @@ def test_owners_tile_and_agree():
     h2, first2, n2 = repeats.owners(a[300_000:301_000], 50, 16)
     whole = np.repeat(h, n)
     assert (whole[300_000 : 300_000 + n2.sum()] == np.repeat(h2, n2)).all()
+
+
+def test_messages_keep_their_size():
+    """Chunks times shards grow with the volume, not with its square, up to the largest chunk and shard."""
+    how = repeats.Repeats(50, 16, False, True, None, shard_bytes=suffix_dedup.SHARD_BYTES)
+
+    def message(volume):
+        chunk, shard = repeats._sizes(volume, how)
+        return chunk * shard / volume
+
+    assert repeats._sizes(1 << 30, how) == (how.chunk_bytes, how.shard_bytes)
+    assert message(8 << 30) >= 0.99 * message(2 << 30)
+    assert max(repeats._sizes(1 << 50, how)) <= repeats.LARGEST_CHUNK
+
+
+def test_dealt_documents_are_packed():
+    r = random.Random(3)
+    texts = [" ".join(r.choice(["alpha", "beta", "gamma"]) for _ in range(200)) for _ in range(40)] + [None, ""]
+    keys = [*range(40), None, 7]
+    batch = pa.record_batch([pa.array([i % 3 for i in range(42)], pa.int64()), pa.array(keys, pa.int64()), pa.array(texts, pa.string())], names=["chunk", "_key", "_text"])
+    rows = pa.Table.from_batches(list(repeats._dealt([batch])))
+    assert rows.num_rows == 3 and rows.nbytes < 0.5 * batch.nbytes
+    got = [pair for row in rows.to_pylist() for pair in zip(*repeats._undealt(pa.Table.from_pylist([row], rows.schema)))]
+    assert sorted(got, key=str) == sorted(((k, (t or "").encode()) for k, t in zip(keys, texts)), key=str)
+
+
+def test_hot_owners_travel_in_segments(spark, tmp_path):
+    """A passage in every chunk, in many surroundings, costs far less than its windows one by one."""
+    r = random.Random(9)
+    word = lambda: "".join(r.choice("abcdefghijklmnop") for _ in range(r.randrange(3, 9)))
+    common = " ".join(word() for _ in range(60))
+    rows = [(i, " ".join([word() for _ in range(30)] + [common] + [word() for _ in range(30)])) for i in range(60)]
+    frame = spark.createDataFrame(rows, "doc_id bigint, text string")
+
+    def run(hot):
+        log = tmp_path / f"sent-{hot}"
+
+        def decide(segments, n_windows, orders, owners):
+            with open(log, "a") as f:
+                f.write(f"{sum(map(len, segments))} {n_windows.sum()}\n")
+            return suffix_dedup.by_owner(segments, n_windows, orders, owners)
+
+        how = repeats.Repeats(50, 16, False, True, decide, hot_chunks=hot, chunk_bytes=4000, shard_bytes=3000, bucket_entries=256)
+        got = sorted(repeats.spans(frame, how).collect(), key=lambda x: x.doc_id)
+        return got, np.loadtxt(log, ndmin=2).sum(axis=0)
+
+    (cool, _), (hot, (sent, windows)) = run(1000), run(3)
+    assert cool == hot and sum(len(x.spans) for x in hot) >= 59
+    assert sent < 0.4 * 50 * windows
